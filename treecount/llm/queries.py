@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
-from . import linededup, neardup, quality, warc
+from . import bytebpe, fingerprints, linededup, neardup, packing, quality, tokens, warc
 
 QUERIES = {
     "op1_warc": warc.op1_warc,
     "op2_line_dedup": linededup.op2_line_dedup,
+    "op4_weighted_fingerprints": fingerprints.op4_weighted_fingerprints,
     "op5_minhash_near_dedup": neardup.op5_minhash_near_dedup,
+    "op6_min_slack_packing": packing.op6_min_slack_packing,
+    "op7_byte_bpe": bytebpe.op7_byte_bpe,
     "op8_quality_rules": quality.op8_quality_rules,
+    "op9_token_binary": tokens.op9_token_binary,
 }
 
 SQL = {
