@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from ._store import fresh_path, open_file_system, small_batches, written
 
 END_ID = 1
-MEMO = 600_000
+MEMO = 1_200_000
 _ENCODERS: dict[str, Encoder] = {}
 
 
@@ -50,6 +50,8 @@ class Encoder:
         self.width = 2 if self.tok.get_vocab_size() <= 1 << 16 else 4
         self.memo: dict[str, bytes] = {}
         self.split = self._drops_spaces()
+        probe = ["the", "anthonst", "reatonsh", "x", "zzqqxx", "internationalization"]
+        self.bare = self.split and all([t.id for t in self.tok.model.tokenize(w)] == self._ids([w])[0] == self._ids([w.upper()])[0] for w in probe)
 
     def _drops_spaces(self) -> bool:
         """Whether a text's ids are those of its white-space pieces in turn, tried on texts that would tell."""
@@ -66,8 +68,6 @@ class Encoder:
 
     def _learn(self, pieces: set[str]) -> None:
         """Encode new pieces.  A lower-cased ASCII word and one trailing stop or comma are tokens apart."""
-        if len(self.memo) > MEMO:
-            self.memo.clear()
         memo, plain, rest = self.memo, {}, []
         for p in pieces:
             body, tail = (p[:-1], p[-1]) if p[-1] in ",." else (p, "")
@@ -75,9 +75,16 @@ class Encoder:
                 plain[p] = (body.lower(), tail)
             else:
                 rest.append(p)
-        new = list({x for pair in plain.values() for x in pair if x and x not in memo} | set(rest))
-        for i in range(0, len(new), 4096):
-            part = new[i : i + 4096]
+        bodies = {b for b, _ in plain.values()} - memo.keys()
+        if self.bare:  # letters pass the normaliser and the splitter as they are: the model alone gives their ids
+            tokenize = self.tok.model.tokenize
+            for b in bodies:
+                memo[b] = self._pack([t.id for t in tokenize(b)])
+        else:
+            rest += bodies
+        rest = list({*rest, *({t for _, t in plain.values() if t} - memo.keys())})
+        for i in range(0, len(rest), 4096):
+            part = rest[i : i + 4096]
             for p, ids in zip(part, self._ids(part)):
                 memo[p] = self._pack(ids)
         memo[""] = b""
@@ -87,23 +94,27 @@ class Encoder:
     def encode(self, texts: list[str | None]) -> list[bytes]:
         if not self.split:
             return [self._pack(x) for x in self._ids([t or "" for t in texts])]
-        out, memo = [], self.memo
         # pieces are cut at ASCII white space only: what other characters count as space is the tokenizer's matter
-        parts = [(t or "").translate(_SPACES).split(" ") for t in texts]
-        new = {x for p in parts for x in p if x not in memo}
-        new.discard("")
-        if new or "" not in memo:
-            self._learn(new)
-            memo = self.memo
-            if any(x not in memo for p in parts for x in p):  # the memo was emptied to make room
-                self._learn({x for p in parts for x in p if x})
-                memo = self.memo
+        parts = [_cut(t).split(" ") if t else [""] for t in texts]
+        pieces = set()
         for p in parts:
-            out.append(b"".join([memo[x] for x in p]))
-        return out
+            pieces.update(p)
+        pieces.discard("")
+        new = pieces - self.memo.keys()
+        if len(self.memo) + len(new) > MEMO:
+            self.memo.clear()
+            new = pieces
+        if new or "" not in self.memo:
+            self._learn(new)
+        get = self.memo.__getitem__
+        return [b"".join(map(get, p)) for p in parts]
 
 
-_SPACES = {c: " " for c in (9, 10, 11, 12, 13)}
+def _cut(text: str) -> str:
+    for c in "\n\t\r\v\f":
+        if c in text:
+            text = text.replace(c, " ")
+    return text
 
 
 def encoder(path: str) -> Encoder:
