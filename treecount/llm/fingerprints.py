@@ -6,9 +6,8 @@ A document is a weighted set: its lower-cased words, each with its number of occ
 least rank is the sample.  Two documents agree on a sample with the probability of their generalised
 Jaccard similarity: the sum of the smaller weights over the sum of the larger ones.
 
-The gamma draws are looked up in a table of equal-probability quantiles, which is worked out once, so
-that a sample costs one hash and no logarithm.  Rank and sample share one 64-bit integer; the samples
-of a document are plain ``min`` aggregates, which combine before anything is shuffled.
+Rank and sample share one 64-bit integer; the samples of a document are plain ``min`` aggregates,
+which combine before anything is shuffled.
 
 Defined cases: null and wordless texts have the fingerprint of no term, equal to each other (likeness 1)
 and unlike any other (0); rows with equal doc_id follow each other in the order of their text's hash;
@@ -26,45 +25,27 @@ from ._store import written
 from .quality import words
 
 SAMPLES = 32
-TABLE_BITS = 12
 LOW_BITS = 29
 CELL_ROWS = 512
 COARSE = 64
 
 
-def gamma_quantiles(n: int) -> list[float]:
-    """Mid-point quantiles of Gamma(2, 1): solutions x of 1 - (1 + x) exp(-x) = (i + 1/2) / n."""
-    out, x = [], 0.01
-    for i in range(n):
-        p = (i + 0.5) / n
-        for _ in range(60):
-            step = (1 - (1 + x) * math.exp(-x) - p) / (x * math.exp(-x))
-            x = max(x - step, x / 10)
-            if abs(step) < 1e-12 * x:
-                break
-        out.append(x)
-    return out
-
-
-def _table(values: list[float]) -> Column:
-    return F.expr("cast(split('" + ",".join(f"{v:.9g}" for v in values) + "', ',') as array<double>)")
-
-
 def sample_columns(term: str, log_weight: str, samples: int = SAMPLES) -> list[Column]:
     """Aggregates s0.. whose low bits name each sample; rows are (term hash, ln weight)."""
-    q = gamma_quantiles(1 << TABLE_BITS)
-    r_table, c_table = _table(q), _table([math.log(x) for x in q])
-    rest = 64 - 2 * TABLE_BITS
     out = []
+    part = lambda h, skip, bits: (F.shiftrightunsigned(h, skip).bitwiseAND(F.lit((1 << bits) - 1)) + F.lit(0.5)) * F.lit(2.0**-bits)
     for i in range(samples):
         h = F.xxhash64(F.col(term), F.lit(i))
-        r = F.get(r_table, F.shiftrightunsigned(h, 64 - TABLE_BITS).cast("int"))
-        log_c = F.get(c_table, F.shiftrightunsigned(h, rest).bitwiseAND(F.lit((1 << TABLE_BITS) - 1)).cast("int"))
-        b = h.bitwiseAND(F.lit((1 << rest) - 1)) * F.lit(2.0**-rest)
+        g = F.xxhash64(h)
+        # the sum of two exponential variables is one of Gamma(2, 1): minus the logarithm of a product of uniforms
+        r = -F.log(part(h, 0, 21) * part(h, 21, 21))
+        log_c = F.log(-F.log(part(g, 0, 31) * part(g, 31, 31)))
+        b = part(h, 42, 22)
         t = F.floor(F.col(log_weight) / r + b)
         rank = log_c - r * (t - b) - r
         name = F.xxhash64(h, t).bitwiseAND(F.lit((1 << LOW_BITS) - 1))
-        out.append(F.min(F.floor((rank + 64) * F.lit(2.0**27)) * F.lit(1 << LOW_BITS) + name).alias(f"s{i}"))
+        # ranks lie between about -100 and 4: 64-bit order first, then the name
+        out.append(F.min(F.floor(F.greatest(rank + 100, F.lit(0.0)) * F.lit(2.0**26)) * F.lit(1 << LOW_BITS) + name).alias(f"s{i}"))
     return out
 
 
