@@ -60,7 +60,7 @@ def _valid(kind: str, value: Column) -> Column:
     if kind == "email":
         return F.lit(True)
     if kind == "ip":
-        part = lambda p: _once(F.regexp_replace(p, "^0+", ""), lambda q: (F.char_length(q) <= 3) & (F.when(F.char_length(q) <= 3, F.coalesce(F.expr("cast(0 as int)"), F.lit(0)) + F.when(q == "", F.lit(0)).otherwise(F.substring(q, 1, 3).cast("int"))).otherwise(F.lit(999)) <= 255))
+        part = lambda p: _once(F.regexp_replace(p, "^0+", ""), lambda q: (F.char_length(q) <= 3) & (F.coalesce(q.try_cast("int"), F.lit(0)) <= 255))
         return F.forall(F.split(value, r"\."), part)
     digits = F.regexp_replace(value, "[^0-9]", "")
     if kind == "phone":
@@ -91,12 +91,16 @@ def _places(text: Column, pattern: str, rank: int, wanted=None) -> Column:
     return _once(found, lambda f: F.when(F.size(f) == 0, F.array().cast(SPAN)).otherwise(walk(f, F.split(text, pattern, -1))))
 
 
+def _checked(kind: str, spans: Column) -> Column:
+    return F.filter(spans, lambda s: _valid(kind, s["value"]))
+
+
 def base_spans(text: Column) -> dict[str, Column]:
     """Checked spans of each kind."""
     out = {}
     for rank, kind in enumerate(KINDS):
         need = F.contains(text, F.lit("@")) if kind == "email" else text.rlike(NEEDS[kind])
-        spans = F.filter(_places(text, PATTERNS[kind], rank), lambda s, k=kind: _valid(k, s["value"]))
+        spans = _checked(kind, _places(text, PATTERNS[kind], rank))
         out[kind] = F.when(need, spans).otherwise(F.array().cast(SPAN))
     return out
 
@@ -117,10 +121,8 @@ def disclosing_terms(docs: DataFrame, threshold: float = THRESHOLD, support: int
     every = docs.select(line.alias("text"))
     hit = every.where(F.col("text").contains("@") | F.col("text").rlike("[0-9][0-9\\x20().-]{5,}"))
     found = detect(hit, [])
-    value = F.concat(*[F.transform(F.col(f"_{k}"), lambda s, n=i: F.xxhash64(F.lit(n), F.lower(s["value"]))) for i, k in enumerate(KINDS)])
-    rest = F.col("_t")
-    for kind in KINDS:  # words inside an entity are no evidence about it
-        rest = F.regexp_replace(rest, PATTERNS[kind], " ") if kind == "email" else rest
+    value = F.transform(F.concat(*[F.col(f"_{k}") for k in KINDS]), lambda s: F.xxhash64(s["rank"], F.lower(s["value"])))
+    rest = F.regexp_replace("_t", PATTERNS["email"], " ")  # words inside an address are no evidence about it
     found = found.select(F.xxhash64("_t").alias("line"), _terms(rest).alias("terms"), F.array_distinct(value).alias("entities")).where(F.size("entities") > 0)
     found = written(found.dropDuplicates(["line"]), "entity-lines")
     entity = found.select("line", F.explode("entities").alias("entity"))
