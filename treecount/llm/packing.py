@@ -100,7 +100,7 @@ def cut(docs: DataFrame, tokenizer: str | None = None, window: int = WINDOW, end
         kind = "<u2" if enc.width == 2 else "<u4"
         for batch in batches:
             rows = []
-            for doc, raw in zip(batch.column("doc_id").to_pylist(), enc.encode(batch.column("text").to_pylist())):
+            for doc, raw in zip(batch.column("doc_id").to_pylist(), enc.encode(batch.column("text"))):
                 ids = np.append(np.frombuffer(raw, kind).astype("<u4"), np.uint32(end_id)).astype("<u4")
                 for at in range(0, len(ids), window):
                     piece = ids[at : at + window]

@@ -2,7 +2,8 @@
 
 ``Encoder`` gives the ids that the tokenizers library gives.  Texts are cut at ASCII white space, which
 no token of a white-space-dropping tokenizer spans, so a piece's ids are found once and kept in a
-bounded memo; the library itself encodes every piece that is new.
+bounded memo of two generations; a new word of letters goes to the library's model, any other new piece
+to the whole library.
 
 The file format is flat: ``<name>.ids`` holds unsigned little-endian ids without separators, 16 bits
 wide where the vocabulary allows and else 32; ``<name>.off`` holds unsigned 64-bit offsets, one for
@@ -16,10 +17,12 @@ of failed task attempts are never named in the manifest.
 
 from __future__ import annotations
 
+import struct
 import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,7 +30,11 @@ from pyspark.sql import functions as F
 from ._store import fresh_path, open_file_system, small_batches, written
 
 END_ID = 1
-MEMO = 1_200_000
+MEMO = 1_600_000
+#: Marks that are cut from the ends of a piece; neither those of special tokens nor the apostrophe of contractions.
+MARKS = '.,;:!?"()[]{}*$%&#-_=+/~^'
+#: Letters below this code point are letters to Python and to the tokenizer alike.
+LATIN_END = "\u0250"
 _ENCODERS: dict[str, Encoder] = {}
 
 
@@ -45,76 +52,108 @@ class Encoder:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import ByteLevel
 
         self.tok = Tokenizer.from_file(path)
         self.width = 2 if self.tok.get_vocab_size() <= 1 << 16 else 4
         self.memo: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+        self.bytes_of = ByteLevel(add_prefix_space=False, use_regex=False).pre_tokenize_str
         self.split = self._drops_spaces()
-        probe = ["the", "anthonst", "reatonsh", "x", "zzqqxx", "internationalization"]
-        self.bare = self.split and all([t.id for t in self.tok.model.tokenize(w)] == self._ids([w])[0] == self._ids([w.upper()])[0] for w in probe)
+        self.bare = self.split and self._models_letters()
 
     def _drops_spaces(self) -> bool:
         """Whether a text's ids are those of its white-space pieces in turn, tried on texts that would tell."""
         probe = ["a b", "a  b.\n c", "it's 12 'll x", " lead", "trail ", "\t3 4\r\n5", "A, B ! ?", "é è ê", "word's s 's"]
         return all(self._ids([t])[0] == [i for x in self._ids(t.split()) for i in x] for t in probe)
 
+    def _models_letters(self) -> bool:
+        """Whether words and the marks around them are tokens apart that the model alone encodes, tried on words that would tell."""
+        if self.tok.normalizer is None:
+            return False
+        words = ["the", "anthonst", "reatonsh", "x", "zzqqxx", "internationalization", "Straße", "ñandú", "ÉLAN", "œuvre", "Ça"]
+        alone = all(self._letters(w) == self._pack(self._ids([w])[0]) for w in words)
+        return alone and all(self._ids([a + w + b])[0] == [i for x in self._ids([a, w, b]) for i in x] for w in words for a, b in (("", "."), ('"', ',"'), ("(", ").$$$"), ("--", "%")))
+
     def _ids(self, texts: list[str]) -> list[list[int]]:
         return [e.ids for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _pack(self, ids: list[int]) -> bytes:
-        import numpy as np
-
-        return np.array(ids, "<u2" if self.width == 2 else "<u4").tobytes()
-
-    def _learn(self, pieces: set[str]) -> None:
-        """Encode new pieces.  A lower-cased ASCII word and one trailing stop or comma are tokens apart."""
-        memo, plain, rest = self.memo, {}, []
+        return struct.pack(f"<{len(ids)}{'H' if self.width == 2 else 'I'}", *ids)
+
+    def _letters(self, body: str) -> bytes | None:
+        """The ids of a word of letters alone, which is one token of the splitter; None where it is not known to be one."""
+        if not body.isalpha():
+            return None
+        if body.isascii():
+            unit = body.lower()
+        else:
+            unit = self.tok.normalizer.normalize_str(body)
+            if not unit.isalpha() or max(unit) >= LATIN_END:
+                return None
+            unit = self.bytes_of(unit)[0][0]
+        return self._pack([t.id for t in self.tok.model.tokenize(unit)])
+
+    def _known(self, piece: str) -> bytes | None:
+        """From the two generations of the memo; what is still in use moves to the younger one."""
+        ids = self.memo.get(piece)
+        if ids is None and (ids := self.older.get(piece)) is not None:
+            self.memo[piece] = ids
+        return ids
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Encode new pieces.  A word of letters and the punctuation around it are tokens apart."""
+        memo, rest, framed = self.memo, [], []
         for p in pieces:
-            body, tail = (p[:-1], p[-1]) if p[-1] in ",." else (p, "")
-            if body.isascii() and body.isalpha():
-                plain[p] = (body.lower(), tail)
-            else:
+            body = p.strip(MARKS) if self.bare else ""
+            at = p.find(body)
+            ids = self._known(body) if body else None
+            if body and ids is None and (ids := self._letters(body)) is not None:
+                memo[body] = ids
+            if ids is None or not body.isalpha():
                 rest.append(p)
-        bodies = {b for b, _ in plain.values()} - memo.keys()
-        if self.bare:  # letters pass the normaliser and the splitter as they are: the model alone gives their ids
-            tokenize = self.tok.model.tokenize
-            for b in bodies:
-                memo[b] = self._pack([t.id for t in tokenize(b)])
-        else:
-            rest += bodies
-        rest = list({*rest, *({t for _, t in plain.values() if t} - memo.keys())})
+            elif len(body) < len(p):
+                marks = p[:at], p[at + len(body) :]
+                framed.append((p, marks, ids))
+                rest += [m for m in marks if m and self._known(m) is None]
+        rest = list(dict.fromkeys(rest))
         for i in range(0, len(rest), 4096):
             part = rest[i : i + 4096]
             for p, ids in zip(part, self._ids(part)):
                 memo[p] = self._pack(ids)
         memo[""] = b""
-        for p, (body, tail) in plain.items():
-            memo[p] = memo[body] + memo[tail]
+        for p, (lead, tail), ids in framed:
+            memo[p] = memo[lead] + ids + memo[tail]
+
+    def encode(self, texts: pa.Array | list[str | None]) -> list[bytes]:
+        import numpy as np
 
-    def encode(self, texts: list[str | None]) -> list[bytes]:
+        if not isinstance(texts, pa.Array):
+            texts = pa.array(texts, pa.large_string())
+        texts = texts.cast(pa.large_string()).fill_null("")
         if not self.split:
-            return [self._pack(x) for x in self._ids([t or "" for t in texts])]
+            return [self._pack(x) for x in self._ids(texts.to_pylist())]
         # pieces are cut at ASCII white space only: what other characters count as space is the tokenizer's matter
-        parts = [_cut(t).split(" ") if t else [""] for t in texts]
-        pieces = set()
-        for p in parts:
-            pieces.update(p)
-        pieces.discard("")
-        new = pieces - self.memo.keys()
-        if len(self.memo) + len(new) > MEMO:
-            self.memo.clear()
-            new = pieces
-        if new or "" not in self.memo:
-            self._learn(new)
-        get = self.memo.__getitem__
-        return [b"".join(map(get, p)) for p in parts]
-
-
-def _cut(text: str) -> str:
-    for c in "\n\t\r\v\f":
-        if c in text:
-            text = text.replace(c, " ")
-    return text
+        parts = pc.ascii_split_whitespace(texts)
+        coded = parts.flatten().dictionary_encode()
+        pieces, codes = coded.dictionary.to_numpy(zero_copy_only=False).tolist(), coded.indices.to_numpy()
+        if len(self.memo) > MEMO // 2:
+            self.memo, self.older = {}, self.memo
+        ids = list(map(self.memo.get, pieces))
+        absent = [i for i, x in enumerate(ids) if x is None]
+        self._learn([p for i in absent if self._known(p := pieces[i]) is None])
+        for i in absent:
+            ids[i] = self.memo[pieces[i]]
+        # every piece's ids lie once in a pool; the texts are gathered from it
+        pool = np.frombuffer(b"".join(ids), f"<u{self.width}")
+        sizes = np.fromiter(map(len, ids), np.int64, len(ids)) // self.width
+        places = np.cumsum(sizes) - sizes
+        long = sizes[codes]
+        ends = np.concatenate([[0], np.cumsum(long)])
+        flat = pool[np.arange(ends[-1]) + np.repeat(places[codes] - ends[:-1], long)]
+        cuts = parts.offsets.to_numpy()
+        cuts = ends[cuts - cuts[0]] if len(cuts) else cuts
+        return [flat[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:])]
 
 
 def encoder(path: str) -> Encoder:
@@ -153,7 +192,7 @@ def write_tokens(docs: DataFrame, folder: str, tokenizer: str | None = None, end
             if ids is None:
                 ids, offsets = (fs.open_output_stream(base + x, compression=None) for x in (".ids", ".off"))
                 first = batch.column("doc_id")[0].as_py()
-            coded = [x + end for x in enc.encode(batch.column("text").to_pylist())]
+            coded = [x + end for x in enc.encode(batch.column("text"))]
             ids.write(b"".join(coded))
             sizes = np.array([len(x) // enc.width for x in coded], np.uint64)
             starts = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.uint64) + np.uint64(total)
