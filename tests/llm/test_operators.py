@@ -189,3 +189,15 @@ def test_scores_prefer_what_was_seen(spark):
     assert got[99].n_words == 0 and got[99].log_likelihood == 0
     assert min(got[i].log_likelihood for i in range(0, 10, 2)) > max(got[i].log_likelihood for i in range(1, 10, 2))
     assert lmscore.train(train.limit(0), top) is None
+
+
+def test_encoder_equals_the_library_on_odd_texts():
+    from treecount.llm.tokens import Encoder, word_tokenizer
+
+    odd = ["", None, "  ", "<|endoftext|>", "a<|endoftext|>b .<|startoftext|>.", "it's 'tis don't. \"can't\"", "İstanbul ΣΑΣ. ſ ß", "été, ≠ x≠", "日本語、 12,5 a1b", "\x1c\x1d a", "...word...", "(Ça)$$$", "ﬁn ŉ", "x́.", "’s it’s", "ª º", "a\x00b", "--"]
+    enc = Encoder(word_tokenizer())
+    expected = [enc._pack(ids) for ids in enc._ids([t or "" for t in odd])]
+    assert enc.bare and enc.encode(odd) == expected and enc.encode(odd) == expected
+    enc.memo, enc.older = {}, enc.memo  # a new generation still finds what the older one knows
+    assert enc.encode(odd) == expected
+    assert enc.encode([]) == []
