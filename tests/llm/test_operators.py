@@ -201,3 +201,10 @@ def test_encoder_equals_the_library_on_odd_texts():
     enc.memo, enc.older = {}, enc.memo  # a new generation still finds what the older one knows
     assert enc.encode(odd) == expected
     assert enc.encode([]) == []
+
+
+def test_lines_that_differ_by_one_letter_or_by_spaces(spark):
+    first = "the committee will publish its annual report on regional transport before the end of june this year"
+    rows = [(1, first), (2, first.replace("annual", "annuel")), (3, first.replace("report on", "report \t on")), (4, "short"), (5, "shorn")]
+    got = by_id(linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")))
+    assert [got[i].text for i in range(1, 6)] == [first, "", "", "short", "shorn"]
