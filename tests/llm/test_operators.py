@@ -208,3 +208,13 @@ def test_lines_that_differ_by_one_letter_or_by_spaces(spark):
     rows = [(1, first), (2, first.replace("annual", "annuel")), (3, first.replace("report on", "report \t on")), (4, "short"), (5, "shorn")]
     got = by_id(linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")))
     assert [got[i].text for i in range(1, 6)] == [first, "", "", "short", "shorn"]
+
+
+def test_scores_predict_the_word_itself(spark):
+    common = " ".join(f"f{i}" for i in range(200))
+    rows = [(100 + i, common) for i in range(12)] + [(10, "aarest"), (11, "Bbrest")] + [(20 + i, "bbrest") for i in range(3)] + [(30, None), (31, "bbrest bbrest"), (31, "bbrest bbrest")]
+    out = lmscore.score_corpus(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    got = {r.doc_id: r.log_likelihood for r in out}
+    assert len(out) == len(rows) and got[30] == 0
+    assert got[11] == got[20] and abs(got[11] - got[10] - np.log(8)) < 1e-5  # one class, 1 and 8 occurrences
+    assert len({r.log_likelihood for r in out if r.doc_id == 31}) == 1 and got[31] < got[20]

@@ -1,11 +1,13 @@
 """Documents scored by masked pseudo-likelihood with a bidirectional window network.
 
 The network predicts a word's class from the ``SIDE`` words on each side of it: embeddings by position
-add up to a hidden layer, a rectifier, and a softmax over the vocabulary.  A document's score is the
-sum of the log-probabilities of all its words, each masked in turn, given both sides.
+add up to a hidden layer, a rectifier, and a softmax over the classes.  A word's probability is that of
+its class given both sides, times the word's share of its class.  A document's score is the sum of the
+log-probabilities of all its words, each masked in turn.
 
-The vocabulary is gathered from the whole corpus: the most frequent words have a class of their own,
-the others share classes by a hash of their last letters.  Training masks one position in ``MASK`` of
+The vocabulary is all words of the corpus: the most frequent have a class of their own, the others
+share classes by a hash of their last letters.  The shares come from counts over the whole corpus, a
+table that grows with it and is joined by the word; it never reaches the driver.  Training masks one position in ``MASK`` of
 every document; each task trains a replica from a common start on its own documents, the replicas are
 averaged with their numbers of examples as weights by an aggregation over parameter blocks, and the
 rounds repeat from the average.  Only the averaged parameters, whose size is fixed, reach the driver.
@@ -191,7 +193,12 @@ def _summed(parts: DataFrame) -> DataFrame:
 
 
 def score(docs: DataFrame, top: list[str], params) -> DataFrame:
-    """(doc_id, n_words, log_likelihood)."""
+    """(doc_id, n_words, log_likelihood) of the words' classes; `shares` has the rest."""
+    d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lit(None).cast("long").alias("row"), "text")
+    return _class_scores(d, top, params).drop("row")
+
+
+def _class_scores(docs: DataFrame, top: list[str], params) -> DataFrame:
     small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -205,16 +212,35 @@ def score(docs: DataFrame, top: list[str], params) -> DataFrame:
                 context, target, starts = windows(ids)
                 sums = np.concatenate([[0.0], np.cumsum(net.log_probabilities(context, target).astype(np.float64))])
                 out = sums[starts[1:]] - sums[starts[:-1]]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(x) for x in ids], pa.int64()), pa.array(out, pa.float64())], ["doc_id", "n_words", "log_likelihood"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), pa.array([len(x) for x in ids], pa.int64()), pa.array(out, pa.float64())], ["doc_id", "row", "n_words", "log_likelihood"])
+
+    return docs.mapInArrow(run, "doc_id long, row long, n_words long, log_likelihood double")
+
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_words long, log_likelihood double")
+def shares(docs: DataFrame, top: list[str]) -> DataFrame:
+    """(row, share): the sum of log P(word | class) over a row's words without a class of their own; docs: (row, text)."""
+    w = docs.select("row", F.explode(words(F.coalesce(F.col("text"), F.lit("")))).alias("w")).where(~F.col("w").isin(top) if top else F.lit(True))
+    ending = F.substring(F.encode(F.btrim("w", F.lit(".,;:!?")), "UTF-8"), -4, 4)
+    n = w.groupBy("w").count().select(F.xxhash64("w").alias("h"), F.pmod(F.crc32(ending), F.lit(SHARED)).alias("c"), "count")
+    n = written(n, "word-counts")
+    size = n.groupBy("c").agg(F.sum("count").alias("size"))
+    n = n.join(F.broadcast(size), "c").select("h", F.log(F.col("count") / F.col("size")).alias("p"))
+    return w.select("row", F.xxhash64("w").alias("h")).join(n, "h").groupBy("row").agg(F.sum("p").alias("share"))
 
 
 def score_corpus(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     """Vocabulary, training and scoring over all documents."""
+    # lower-cased once, so that counts and classes see the same words
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("text"))
     top = vocabulary(docs)
     params = train(docs, top, rounds)
-    return score(docs, top, Net().params if params is None else params)
+    rows = docs.select("doc_id", F.xxhash64("doc_id", "text").alias("row"), "text")
+    out = written(_class_scores(rows, top, Net().params if params is None else params), "class-scores")
+    # equal rows add up in the shares, and each has its part
+    copies = out.groupBy("row").agg(F.count("*").alias("copies"))
+    part = copies.join(shares(rows, top), "row").select("row", (F.col("share") / F.col("copies")).alias("share"))
+    out = out.join(part, "row", "left")
+    return out.select("doc_id", "n_words", (F.col("log_likelihood") + F.coalesce("share", F.lit(0.0))).alias("log_likelihood"))
 
 
 def op10_masked_lm_score(spark, sf_dir: str) -> DataFrame:
