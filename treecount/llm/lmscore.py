@@ -7,8 +7,8 @@ log-probabilities of all its words, each masked in turn.
 
 The vocabulary is all words of the corpus: the most frequent have a class of their own, the others
 share classes by a hash of their last letters.  The shares come from counts over the whole corpus, a
-table that grows with it and is joined by the word; it never reaches the driver.  Training masks one position in ``MASK`` of
-every document; each task trains a replica from a common start on its own documents, the replicas are
+table that grows with it and is joined by the word; it never reaches the driver.  Training masks every position of every
+document once a round, one in ``MASK`` at a time; each task trains a replica from a common start on its own documents, the replicas are
 averaged with their numbers of examples as weights by an aggregation over parameter blocks, and the
 rounds repeat from the average.  Only the averaged parameters, whose size is fixed, reach the driver.
 
@@ -162,11 +162,12 @@ def train(docs: DataFrame, top: list[str], rounds: int = ROUNDS, mask: int = MAS
                 if not ids:
                     continue
                 context, target, starts = windows(ids)
-                # the masked positions of a document are every mask-th, shifted by its length and the round
+                # each position is masked once a round: every mask-th of a document at a time, shifted by its length and the round
                 place = np.arange(len(target)) - np.repeat(starts[:-1], np.diff(starts)) + np.repeat(np.diff(starts) + turn * (mask // 2), np.diff(starts))
-                pick = np.flatnonzero(place % mask == 0)
-                net.learn([c[pick] for c in context], target[pick], step)
-                n += len(pick)
+                for phase in range(mask):
+                    pick = np.flatnonzero(place % mask == phase)
+                    net.learn([c[pick] for c in context], target[pick], step)
+                    n += len(pick)
             if n:
                 rows = range(0, len(net.params), BLOCK)
                 yield pa.RecordBatch.from_arrays(
