@@ -245,3 +245,12 @@ def test_training_covers_every_position(spark, monkeypatch):
 
     lmscore.train(Docs(), top, rounds=1)
     assert Counter(seen) == {i: 1 for i in range(30)}
+
+
+def test_privacy_judges_rare_entities_and_copies(spark):
+    plain = [(i, f"ordinary sentence number{i} about weather") for i in range(300)]
+    once = [(1000, "ordinary codename owner x@y.example about weather")]
+    copied = [(2000 + i, f"ordinary undercover n{i % 3} boss@z.example about weather") for i in range(300)]
+    d = privacy.find(spark.createDataFrame(plain + once + copied, "doc_id long, text string"), ["doc_id"])
+    got = {r.doc_id: {r["_t"][s.start : s.end] for s in r["_terms"]} for r in d.select("doc_id", "_t", "_terms").collect()}
+    assert got[1000] == {"codename", "owner"} and got[2000] == {"undercover"} and got[0] == set()

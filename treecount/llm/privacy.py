@@ -7,13 +7,13 @@ linear time on any text.
 
 The values found are the protected entities.  The corpus tells which other terms reveal one: with the
 line as the unit, the pointwise mutual information of term and entity, as a share of the entity's own
-information, says how much of the entity a term discloses.  Terms at or above ``THRESHOLD`` with at
-least ``SUPPORT`` different lines of evidence are disclosing: those that disclose all of it are
-removed, the others generalised to a class label.
+information, says how much of the entity a term discloses.  The share of a term's lines that have the
+entity is smoothed by ``SMOOTH`` lines without it, so that little evidence counts for less but counts.
+Terms at or above ``THRESHOLD`` are disclosing: those that disclose all of it, as counted, are removed,
+the others generalised to a class label.
 
-Counting: evidence for (entity, term) and for the entity is counted in distinct lines, so copies of
-one line are one piece of evidence; a term's own count is over all lines of the corpus.  Both are
-aggregations with map-side combining.
+Counting: terms, entities, pairs and the corpus are all counted in distinct lines, so copies of one line
+are one piece of evidence.  All are aggregations with map-side combining.
 
 Defined cases: null texts are empty; repeated rows are treated each; an empty table, or one without
 entities, has no disclosing term; other columns of the table are left as they are.
@@ -38,7 +38,7 @@ PATTERNS = {
 NEEDS = {"email": "@", "ip": r"[0-9]\.[0-9]+\.[0-9]", "card": r"[0-9][\x20-]?[0-9]", "phone": r"\+[0-9]"}
 TERM = r"\p{L}{4,}"
 THRESHOLD = 0.8
-SUPPORT = 3
+SMOOTH = 1.0
 #: Disclosing terms up to this number go to the tasks as a set; more are joined by a shuffle.
 BROADCAST_TERMS = 200_000
 LABELS = {k: f"[{k.upper()}]" for k in KINDS}
@@ -115,8 +115,8 @@ def _terms(line: Column) -> Column:
     return F.transform(F.array_distinct(F.regexp_extract_all(F.lower(line), F.lit(TERM), F.lit(0))), lambda w: F.xxhash64(w))
 
 
-def disclosing_terms(docs: DataFrame, threshold: float = THRESHOLD, support: int = SUPPORT) -> DataFrame:
-    """(term, disclosure): hashes of the terms that reveal a protected entity, by the most they reveal of one."""
+def disclosing_terms(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """(term, disclosure): hashes of the terms that reveal a protected entity, by the most they reveal of one (1: all of it)."""
     line = F.explode(F.split(F.coalesce(F.col("text"), F.lit("")), "\n"))
     every = docs.select(line.alias("text"))
     hit = every.where(F.col("text").contains("@") | F.col("text").rlike("[0-9][0-9\\x20().-]{5,}"))
@@ -126,18 +126,23 @@ def disclosing_terms(docs: DataFrame, threshold: float = THRESHOLD, support: int
     found = found.select(F.xxhash64("_t").alias("line"), _terms(rest).alias("terms"), F.array_distinct(value).alias("entities")).where(F.size("entities") > 0)
     found = written(found.dropDuplicates(["line"]), "entity-lines")
     entity = found.select("line", F.explode("entities").alias("entity"))
-    n_entity = entity.groupBy("entity").agg(F.count("*").alias("ne")).where(F.col("ne") >= support)
+    n_entity = entity.groupBy("entity").agg(F.count("*").alias("ne"))
     pairs = found.select("terms", F.explode("entities").alias("entity")).join(n_entity, "entity").select("entity", "ne", F.explode("terms").alias("term"))
-    pairs = written(pairs.groupBy("entity", "ne", "term").agg(F.count("*").alias("nj")).where(F.col("nj") >= support), "entity-terms")
+    pairs = written(pairs.groupBy("entity", "ne", "term").agg(F.count("*").alias("nj")), "entity-terms")
     if pairs.isEmpty():
         return pairs.select("term", F.lit(0.0).alias("disclosure"))
-    counts = every.select(F.explode(_terms(F.col("text"))).alias("term")).groupBy("term").agg(F.count("*").alias("nt")).where(F.col("nt") >= support)
-    total = every.count()
+    # one line of each text, by its hash; in the entities' lines the words inside an address do not count
+    once = every.groupBy(F.xxhash64("text")).agg(F.first("text").alias("text"))
+    rest = F.when(F.contains("text", F.lit("@")), F.regexp_replace("text", PATTERNS["email"], " ")).otherwise(F.col("text"))
+    counts = once.select(F.explode(_terms(rest)).alias("term")).groupBy("term").agg(F.count("*").alias("nt"))
+    counts = counts.join(pairs.select("term").distinct(), "term", "left_semi")
+    total = every.select(F.xxhash64("text")).distinct().count()
     j = pairs.join(counts, "term")
     information = F.log(F.lit(float(total)) / F.col("ne"))
-    shared = F.log(F.col("nj") * F.lit(float(total)) / (F.col("ne").cast("double") * F.col("nt")))
-    j = j.select("term", F.when(information > 0, F.least(shared / information, F.lit(1.0))).otherwise(F.lit(0.0)).alias("d"))
-    return written(j.groupBy("term").agg(F.max("d").alias("disclosure")).where(F.col("disclosure") >= threshold), "disclosing-terms")
+    shared = F.log(F.col("nj") * F.lit(float(total)) / (F.col("ne").cast("double") * (F.col("nt") + F.lit(SMOOTH))))
+    d = F.when(information > 0, shared / information).otherwise(F.lit(0.0))
+    j = j.select("term", d.alias("d"), (F.col("nj") == F.col("nt")).alias("all")).where(F.col("d") >= threshold)
+    return written(j.groupBy("term").agg(F.max(F.when(F.col("all"), F.lit(1.0)).otherwise(F.least("d", F.lit(0.999)))).alias("disclosure")), "disclosing-terms")
 
 
 def _hits(docs: DataFrame, risky: DataFrame) -> DataFrame | None:
@@ -151,9 +156,9 @@ def _hits(docs: DataFrame, risky: DataFrame) -> DataFrame | None:
     return t.groupBy("_id").agg(F.collect_set("term").alias("_risky"), F.collect_set(F.when(F.col("disclosure") >= 1.0, F.col("term"))).alias("_gone"))
 
 
-def find(docs: DataFrame, keep: list[str], threshold: float = THRESHOLD, support: int = SUPPORT) -> DataFrame:
+def find(docs: DataFrame, keep: list[str], threshold: float = THRESHOLD) -> DataFrame:
     """``keep`` and ``_t``, the base spans by kind, ``_terms`` (spans of disclosing terms) and ``_gone`` (those to remove)."""
-    hits = _hits(docs, disclosing_terms(docs, threshold, support))
+    hits = _hits(docs, disclosing_terms(docs, threshold))
     if hits is None:
         d = docs.withColumns({"_risky": F.lit(None).cast("array<bigint>"), "_gone": F.lit(None).cast("array<bigint>")})
     else:
@@ -172,10 +177,10 @@ def listed(spans: Column) -> Column:
     return F.array_join(F.transform(F.sort_array(spans), lambda s: F.concat_ws(":", F.get(names, s["rank"]), s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def sanitise(docs: DataFrame, threshold: float = THRESHOLD, support: int = SUPPORT) -> DataFrame:
+def sanitise(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """``docs`` with personal data replaced by labels and disclosing terms generalised or removed in ``text``."""
     others = [c for c in docs.columns if c != "text"]
-    d = find(docs, [*others, "text"], threshold, support)
+    d = find(docs, [*others, "text"], threshold)
     labels = F.array(*[F.lit(LABELS[k]) for k in KINDS], F.lit(GENERAL))
     spans = F.sort_array(F.concat(*[F.col(f"_{k}") for k in KINDS], F.col("_terms")))
 
