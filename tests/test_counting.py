@@ -120,3 +120,25 @@ def test_worked_step(spark):
 def test_number_of_colourings():
     n, t = T.n_colorings(3, 0.5, 0.1)
     assert t % 2 == 1 and n % t == 0 and n >= math.exp(3) * math.log(10) / 0.25
+
+
+def test_estimates_use_all_colourings_of_eps_and_delta(spark, monkeypatch):
+    from treecount.operators import counting, queries
+
+    used = []
+
+    def count(graph, template, its, *_, **__):
+        used.append((template.k, len(its)))
+        return spark.createDataFrame([(i, 1) for i in its], "it int, colorful long")
+
+    monkeypatch.setattr(counting, "colorful_count", count)
+    monkeypatch.setattr(counting, "written", lambda df, name: df)
+    monkeypatch.setattr(queries.G, "graph", lambda *_: None)
+    r = queries.QUERIES["estimate_tree_count_u3_1"](spark, None).first()
+    assert r.n_iter == 186 and sum(n for _, n in used) == 186
+    used.clear()
+    queries.QUERIES["tree_frequencies_k4"](spark, None)
+    assert sum(n for k, n in used if k == 4) == 2 * counting.n_colorings(4, 0.5, 0.05)[0]
+    used.clear()
+    queries.QUERIES["frequent_trees_k5"](spark, None)
+    assert sum(n for k, n in used if k == 5) == 3 * counting.n_colorings(5, 0.5, 0.1 / 3)[0]

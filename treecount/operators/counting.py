@@ -354,24 +354,24 @@ def tree_exists(graph: EdgeGraph, template: TreeTemplate, fail: float = 0.01, se
     return False
 
 
-def tree_frequencies(graph: EdgeGraph, templates: dict[str, TreeTemplate], iters: list[int], seed: int = 42) -> DataFrame:
-    """(template, estimate, share): mean estimates over the colourings, and each one's share of them all."""
+def tree_frequencies(graph: EdgeGraph, templates: dict[str, TreeTemplate], eps: float = 0.5, delta: float = 0.1, seed: int = 42) -> DataFrame:
+    """(template, estimate, share): all estimates within eps with probability 1 - delta, and each one's share of them all."""
     from pyspark.sql import Window
 
     out = None
     for name, t in templates.items():
-        x = unbias(colorful_count(graph, t, iters, seed), t.k).agg(F.avg("estimate").alias("estimate")).select(F.lit(name).alias("template"), "estimate")
+        x = estimate_tree_count(graph, t, eps, delta / len(templates), seed).select(F.lit(name).alias("template"), "estimate")
         out = x if out is None else out.unionByName(x)
     total = F.sum("estimate").over(Window.partitionBy())  # a row a template
     return out.withColumn("share", F.when(total > 0, F.col("estimate") / total).otherwise(F.lit(0.0)))
 
 
-def frequent_trees(graph: EdgeGraph, k: int, least: float, iters: list[int], seed: int = 42) -> DataFrame:
+def frequent_trees(graph: EdgeGraph, k: int, least: float, eps: float = 0.5, delta: float = 0.1, seed: int = 42) -> DataFrame:
     """The trees with k vertices whose estimated count is at least ``least``."""
     from ..plans.templates import all_free_trees
 
     named = {" ".join(map(str, t.parents)): t for t in all_free_trees(k)}
-    return tree_frequencies(graph, named, iters, seed).where(F.col("estimate") >= least)
+    return tree_frequencies(graph, named, eps, delta, seed).where(F.col("estimate") >= least)
 
 
 def sample_embeddings(graph: EdgeGraph, template: TreeTemplate, n: int, seed: int = 42, it: int = 1) -> DataFrame:

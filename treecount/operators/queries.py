@@ -237,10 +237,10 @@ def relative_error(spark, d):
 
 register("per_vertex_counts_star4", f"WITH {graph_sql('page_link')}, {color_sql(4, [1])} SELECT c0.it::INT AS it, c0.v, (count(*) // 6)::BIGINT AS cnt FROM col c0 JOIN e e1 ON e1.src = c0.v JOIN col c1 ON c1.v = e1.dst AND c1.c <> c0.c JOIN e e2 ON e2.src = c0.v JOIN col c2 ON c2.v = e2.dst AND c2.c NOT IN (c0.c, c1.c) JOIN e e3 ON e3.src = c0.v JOIN col c3 ON c3.v = e3.dst AND c3.c NOT IN (c0.c, c1.c, c2.c) GROUP BY 1, 2")(
     lambda spark, d: C.per_vertex_counts(G.graph(spark, d, "page_link"), TreeTemplate.named("star4"), [1]))
-register("tree_frequencies_k4")(lambda spark, d: C.tree_frequencies(G.graph(spark, d, "page_link"), {"path4": TreeTemplate.named("path4"), "star4": TreeTemplate.named("star4")}, [1, 2, 3]))
-register("frequent_trees_k5")(lambda spark, d: C.frequent_trees(G.graph(spark, d, "page_link"), 5, 1000.0, [1, 2]))
+register("tree_frequencies_k4")(lambda spark, d: C.tree_frequencies(G.graph(spark, d, "page_link"), {"path4": TreeTemplate.named("path4"), "star4": TreeTemplate.named("star4")}, 0.5, 0.1))
+register("frequent_trees_k5")(lambda spark, d: C.frequent_trees(G.graph(spark, d, "page_link"), 5, 1000.0, 0.5, 0.1))
 register("sample_embeddings")(lambda spark, d: C.sample_embeddings(G.graph(spark, d, "page_link"), TreeTemplate.named("u5-2"), 50))
-register("estimate_tree_count_u3_1")(lambda spark, d: C.estimate_tree_count(G.graph(spark, d, "page_link"), TreeTemplate.named("u3-1"), 0.5, 0.1, cap=33))
+register("estimate_tree_count_u3_1")(lambda spark, d: C.estimate_tree_count(G.graph(spark, d, "page_link"), TreeTemplate.named("u3-1"), 0.5, 0.1))
 
 
 # -- exact --------------------------------------------------------------------------------------
