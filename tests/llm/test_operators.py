@@ -254,3 +254,15 @@ def test_privacy_judges_rare_entities_and_copies(spark):
     d = privacy.find(spark.createDataFrame(plain + once + copied, "doc_id long, text string"), ["doc_id"])
     got = {r.doc_id: {r["_t"][s.start : s.end] for s in r["_terms"]} for r in d.select("doc_id", "_t", "_terms").collect()}
     assert got[1000] == {"codename", "owner"} and got[2000] == {"undercover"} and got[0] == set()
+
+
+def test_short_near_copies_are_all_candidates():
+    rng = np.random.default_rng(3)
+    sketcher = neardup.Sketcher()
+    for _ in range(3000):
+        h = rng.integers(0, 2**63, 7).astype(np.uint64) * np.uint64(2)
+        a, b = np.sort(h), np.sort(h[:6])
+        keys = [set(sketcher.keys(sketcher.signature(x)).tolist()) | set(neardup.prefix_keys(x).tolist()) for x in (a, b)]
+        assert keys[0] & keys[1]
+    few = np.sort(rng.integers(0, 2**63, 1).astype(np.uint64))
+    assert set(sketcher.signature(few)) == set(few)

@@ -35,6 +35,18 @@ ROWS = 8
 #: A pair whose slots agree less than this share is no candidate of the block rounds: five standard deviations below the threshold.
 LIKELY = 0.74
 BLOCK = 512
+#: Sets up to this size are also compared wherever they share a shingle of their prefix, so none of their links is lost.
+SMALL = 32
+
+
+def prefix_keys(hashes, percent: int = PERCENT):
+    """Keys of which two sets that have ``percent`` of their union in common, one with ``SMALL`` members at most, share one."""
+    import numpy as np
+
+    n = len(hashes)
+    if percent <= 0 or n * percent > SMALL * 100:
+        return np.zeros(0, np.int64)
+    return (hashes[: n - -(-percent * n // 100) + 1] ^ np.uint64(0xA5A5A5A5A5A5A5A5)).view(np.int64)
 
 
 def shingle_hashes(text: str | None, words: int = WORDS, memo: dict | None = None):
@@ -82,6 +94,7 @@ class Sketcher:
             k *= np.uint64(0x94D049BB133111EB)
             k ^= k >> np.uint64(30)
         self.chain = (k % np.uint64(self.slots)).astype(np.int64)
+        self.orders: dict = {}
         self.salt = np.arange(bands, dtype=np.uint64)
 
     def signature(self, hashes):
@@ -96,11 +109,20 @@ class Sketcher:
             probes = full[self.chain[:, empty]]
             step = probes.argmax(0)
             donor = self.chain[step, empty]
-            missed = ~probes[step, np.arange(len(empty))]  # no probe hit: the first filled bin gives
-            donor[missed] = bins[first[0]]
+            for at in np.flatnonzero(~probes[step, np.arange(len(empty))]):  # a full permutation always finds one
+                order = self.order(empty[at])
+                donor[at] = order[full[order].argmax()]
             sig[empty] = sig[donor]
         return sig
 
+    def order(self, slot: int):
+        """All bins, in the order in which a slot asks them once its chain has ended."""
+        import numpy as np
+
+        if slot not in self.orders:
+            self.orders[slot] = np.random.default_rng(int(slot)).permutation(self.slots)
+        return self.orders[slot]
+
     def keys(self, sig):
         import numpy as np
 
@@ -113,7 +135,7 @@ class Sketcher:
         return acc.view(np.int64)
 
 
-def sketches(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+def sketches(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: int = ROWS, percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, set_id, keys, sig): set_id is a 128-bit hash of the set; sig has one byte a slot."""
     small_batches(docs.sparkSession)
 
@@ -130,7 +152,7 @@ def sketches(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: int
                 if len(h):
                     sig = sketcher.signature(h)
                     ids.append(xxhash.xxh3_128_digest(h.tobytes()))
-                    keys.append(sketcher.keys(sig))
+                    keys.append(np.concatenate([sketcher.keys(sig), prefix_keys(h, percent)]))
                     sigs.append(((sig ^ (sig >> np.uint64(17))) & np.uint64(255)).astype(np.uint8).tobytes())
                 else:
                     ids.append(None), keys.append(None), sigs.append(None)
@@ -174,18 +196,18 @@ def _blocks(rows: DataFrame, sigs: DataFrame, likely: float) -> DataFrame:
     parts = F.ceil(F.col("n") / BLOCK).cast("int")
     r = rows.join(size.select("k", parts.alias("p")), "k").withColumn("i", F.pmod(F.xxhash64("id"), F.col("p")).cast("int"))
     r = r.join(sigs, "id").withColumn("j", F.explode(F.sequence(F.lit(0), F.col("p") - 1)))
-    r = r.select("k", F.least("i", "j").alias("x"), F.greatest("i", "j").alias("y"), "i", "id", "c", "sig")
+    r = r.select("k", F.least("i", "j").alias("x"), F.greatest("i", "j").alias("y"), "i", "id", "c", "sig", "size")
 
     def compare(table: pa.Table) -> pa.Table:
         import numpy as np
 
-        ids, comp, block = (table.column(c).to_numpy() for c in ("id", "c", "i"))
+        ids, comp, block, size = (table.column(c).to_numpy() for c in ("id", "c", "i", "size"))
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(len(ids), -1)
         x, y = table.column("x")[0].as_py(), table.column("y")[0].as_py()
         left, right, a, b = np.flatnonzero(block == x), np.flatnonzero(block == y), [], []
         for p in left:
             others = right[(comp[right] != comp[p]) & ((ids[right] > ids[p]) if x == y else True)]
-            hit = others[(sig[others] == sig[p]).mean(1) >= likely] if len(others) else others
+            hit = others[((sig[others] == sig[p]).mean(1) >= likely) | (np.minimum(size[others], size[p]) <= SMALL)] if len(others) else others
             a.append(np.full(len(hit), ids[p]))
             b.append(ids[hit])
         return pa.table({"a": pa.array(np.concatenate(a) if a else [], pa.int64()), "b": pa.array(np.concatenate(b) if b else [], pa.int64())})
@@ -204,11 +226,11 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 def near_duplicates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS, likely: float = LIKELY) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of ``docs``."""
     spark = docs.sparkSession
-    sk = written(sketches(docs, words, bands, rows), "sketches")
+    sk = written(sketches(docs, words, bands, rows, percent), "sketches")
     # equal sets: one class each, kept by its least document
     same = sk.where("doc_id is not null and n_shingles > 0").groupBy("set_id").agg(F.min("doc_id").alias("rep"))
     reps = sk.join(same.select(F.col("rep").alias("doc_id"), "set_id"), ["doc_id", "set_id"], "left_semi").dropDuplicates(["doc_id"])
-    reps = written(reps.select(F.col("doc_id").alias("id"), "keys", "sig"), "representatives")
+    reps = written(reps.select(F.col("doc_id").alias("id"), "keys", "sig", F.col("n_shingles").alias("size")), "representatives")
     member = written(sk.select("doc_id", "n_shingles", "set_id").join(same, "set_id", "left").select("doc_id", "n_shingles", "rep"), "members")
     forget(sk)
     every = reps.select("id", F.explode("keys").alias("k"))
@@ -217,7 +239,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT,
     weight = written(met.groupBy("id").agg(F.sum("n").alias("w")), "weights")
     wanted = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(weight.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
     sets = written(full_sets(wanted, words).dropDuplicates(["doc_id"]), "sets")
-    sigs = reps.select("id", "sig").join(weight.select("id"), "id", "left_semi")
+    sigs = reps.select("id", "sig", "size").join(weight.select("id"), "id", "left_semi")
     links, label = None, None
     for step in ("star", "star", "blocks"):
         r = met.select("k", "id")
