@@ -7,14 +7,16 @@ finds (optimal densification).  ``ROWS`` slots make a bucket key.
 
 Documents with equal sets are one class and only its least document goes on.  In a bucket every
 member is compared with one centre, the member that meets most others over all its buckets, so the
-pairs are as many as the members.  Two such rounds join nearly all of a group; what is still apart
-though it shares a bucket is compared in blocks of bounded size inside the tasks, by one byte of
-each slot, and only likely pairs leave them.  Every link is confirmed on the full sets; components
-follow by contraction.
+pairs are as many as the members.  Two such rounds, confirmed on the full sets, join nearly all of a
+group.  What is still apart though it shares a bucket is compared in blocks of bounded size inside the
+tasks: there the common members of all full sets are counted by matrix products, and only links between
+components leave a task, so its rows grow with the components and no pair is passed over.  Components follow by contraction.
 
 Defined cases: null or wordless texts have an empty set and are linked with nothing; repeated rows
-are linked as equal texts; rows without a doc_id are returned unlinked; an empty table gives an empty
-result.  Of rows that share a doc_id one text decides the links.
+are linked as equal texts; rows that share a doc_id are one document with several texts and linked by
+each of them; rows without a doc_id are returned unlinked; ties go to the least doc_id; a very long text
+is one row of a batch of bounded rows, its set held whole; an empty table gives an empty result.  Only
+doc_id and text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -32,9 +34,9 @@ WORDS = 5
 PERCENT = 85
 BANDS = 40
 ROWS = 8
-#: A pair whose slots agree less than this share is no candidate of the block rounds: five standard deviations below the threshold.
-LIKELY = 0.74
+#: Members and set members of a block of a bucket.
 BLOCK = 512
+BLOCK_HASHES = 4_000_000
 #: Sets up to this size are also compared wherever they share a shingle of their prefix, so none of their links is lost.
 SMALL = 32
 
@@ -136,7 +138,7 @@ class Sketcher:
 
 
 def sketches(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: int = ROWS, percent: int = PERCENT) -> DataFrame:
-    """(doc_id, n_shingles, set_id, keys, sig): set_id is a 128-bit hash of the set; sig has one byte a slot."""
+    """(doc_id, n_shingles, set_id, keys): set_id is a 128-bit hash of the set."""
     small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -145,7 +147,7 @@ def sketches(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: int
 
         sketcher, memo = Sketcher(bands, rows), {}
         for batch in batches:
-            n, ids, keys, sigs = [], [], [], []
+            n, ids, keys = [], [], []
             for text in batch.column("text").to_pylist():
                 h = shingle_hashes(text, words, memo)
                 n.append(len(h))
@@ -153,30 +155,30 @@ def sketches(docs: DataFrame, words: int = WORDS, bands: int = BANDS, rows: int
                     sig = sketcher.signature(h)
                     ids.append(xxhash.xxh3_128_digest(h.tobytes()))
                     keys.append(np.concatenate([sketcher.keys(sig), prefix_keys(h, percent)]))
-                    sigs.append(((sig ^ (sig >> np.uint64(17))) & np.uint64(255)).astype(np.uint8).tobytes())
                 else:
-                    ids.append(None), keys.append(None), sigs.append(None)
+                    ids.append(None), keys.append(None)
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").cast(pa.int64()), pa.array(n, pa.int64()), pa.array(ids, pa.binary()), pa.array(keys, pa.list_(pa.int64())), pa.array(sigs, pa.binary())],
-                ["doc_id", "n_shingles", "set_id", "keys", "sig"],
+                [batch.column("doc_id").cast(pa.int64()), pa.array(n, pa.int64()), pa.array(ids, pa.binary()), pa.array(keys, pa.list_(pa.int64()))],
+                ["doc_id", "n_shingles", "set_id", "keys"],
             )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, set_id binary, keys array<long>, sig binary")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, set_id binary, keys array<long>")
 
 
 def full_sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
-    """(doc_id, h): the whole set, recomputed from the text."""
+    """(doc_id, set_id, h): the whole set, recomputed from the text."""
     small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import numpy as np
+        import xxhash
 
         memo: dict = {}
         for batch in batches:
-            sets = [shingle_hashes(t, words, memo).view(np.int64) for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(sets, pa.list_(pa.int64()))], ["doc_id", "h"])
+            sets = [shingle_hashes(t, words, memo) for t in batch.column("text").to_pylist()]
+            ids = [xxhash.xxh3_128_digest(h.tobytes()) for h in sets]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(ids, pa.binary()), pa.array([h.view("int64") for h in sets], pa.list_(pa.int64()))], ["doc_id", "set_id", "h"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, h array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, set_id binary, h array<long>")
 
 
 def _star(rows: DataFrame, weight: DataFrame) -> DataFrame:
@@ -187,79 +189,124 @@ def _star(rows: DataFrame, weight: DataFrame) -> DataFrame:
     return rows.join(hub, "k").where("c <> ca").select("a", F.col("id").alias("b"))
 
 
-def _blocks(rows: DataFrame, sigs: DataFrame, likely: float) -> DataFrame:
-    """(a, b): likely pairs of different components that share a bucket.
+def common_counts(sets: list):
+    """Matrix of the numbers of common members of each two sets (arrays of distinct integers)."""
+    import numpy as np
+
+    n = len(sets)
+    out = np.zeros((n, n), np.float64)
+    owner = np.repeat(np.arange(n), [len(x) for x in sets])
+    _, number, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    shared = times[number] > 1  # what one set alone has is common to none
+    owner, number = owner[shared], number[shared]
+    order = np.argsort(number, kind="stable")
+    owner, number = owner[order], np.unique(number[order], return_inverse=True)[1]
+    width = 4096
+    for lo in range(0, int(number[-1]) + 1 if len(number) else 0, width):
+        part = slice(*np.searchsorted(number, (lo, lo + width)))
+        m = np.zeros((n, width), np.float32)
+        m[owner[part], number[part] - lo] = 1
+        out += m @ m.T
+    return out
+
+
+def block_links(ids, comp, sets: list, percent: int, side=None):
+    """Links that join all components that any pair of the sets links; with ``side`` only pairs of different sides count."""
+    import numpy as np
+
+    size = np.array([len(x) for x in sets], np.float64)
+    common = common_counts(sets)
+    ok = (100 * common >= percent * (size[:, None] + size[None, :] - common)) & (comp[:, None] != comp[None, :])
+    if side is not None:
+        ok &= side[:, None] != side[None, :]
+    parent: dict = {}
+
+    def top(x):
+        while parent.get(x, x) != x:
+            x = parent[x]
+        return x
 
-    A bucket is cut into blocks of about ``BLOCK`` members; a task compares two blocks.
+    out = []
+    for i, j in zip(*np.nonzero(np.triu(ok, 1))):
+        a, b = top(comp[i]), top(comp[j])
+        if a != b:
+            parent[max(a, b)] = min(a, b)
+            out.append((ids[i], ids[j]))
+    return out
+
+
+def _blocks(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(a, b): links between different components that share a bucket; rows: (k, id, c).
+
+    A bucket is cut into blocks of about ``BLOCK`` members and ``BLOCK_HASHES`` set members; a task compares two blocks.
     """
-    size = rows.groupBy("k").agg(F.count("*").alias("n"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi")
-    parts = F.ceil(F.col("n") / BLOCK).cast("int")
+    sized = sets.select(F.col("doc_id").alias("id"), F.size("h").cast("long").alias("n")).groupBy("id").agg(F.sum("n").alias("n"))
+    size = rows.join(sized, "id").groupBy("k").agg(F.count("*").alias("m"), F.sum("n").alias("n"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi")
+    parts = F.greatest(F.ceil(F.col("m") / BLOCK), F.ceil(F.col("n") / BLOCK_HASHES)).cast("int")
     r = rows.join(size.select("k", parts.alias("p")), "k").withColumn("i", F.pmod(F.xxhash64("id"), F.col("p")).cast("int"))
-    r = r.join(sigs, "id").withColumn("j", F.explode(F.sequence(F.lit(0), F.col("p") - 1)))
-    r = r.select("k", F.least("i", "j").alias("x"), F.greatest("i", "j").alias("y"), "i", "id", "c", "sig", "size")
+    r = r.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("p") - 1))).join(sets.select(F.col("doc_id").alias("id"), "h"), "id")
+    r = r.select("k", F.least("i", "j").alias("x"), F.greatest("i", "j").alias("y"), "i", "id", "c", "h")
 
     def compare(table: pa.Table) -> pa.Table:
-        import numpy as np
-
-        ids, comp, block, size = (table.column(c).to_numpy() for c in ("id", "c", "i", "size"))
-        sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(len(ids), -1)
-        x, y = table.column("x")[0].as_py(), table.column("y")[0].as_py()
-        left, right, a, b = np.flatnonzero(block == x), np.flatnonzero(block == y), [], []
-        for p in left:
-            others = right[(comp[right] != comp[p]) & ((ids[right] > ids[p]) if x == y else True)]
-            hit = others[((sig[others] == sig[p]).mean(1) >= likely) | (np.minimum(size[others], size[p]) <= SMALL)] if len(others) else others
-            a.append(np.full(len(hit), ids[p]))
-            b.append(ids[hit])
-        return pa.table({"a": pa.array(np.concatenate(a) if a else [], pa.int64()), "b": pa.array(np.concatenate(b) if b else [], pa.int64())})
+        ids, comp, block = (table.column(c).to_numpy() for c in ("id", "c", "i"))
+        sets = [x.values.to_numpy(zero_copy_only=False) for x in table.column("h")]
+        apart = table.column("x")[0].as_py() != table.column("y")[0].as_py()
+        found = block_links(ids, comp, sets, percent, block if apart else None)
+        return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
 
     return r.groupBy("k", "x", "y").applyInArrow(compare, "a long, b long")
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs whose full sets have at least ``percent`` of their union in common."""
+    pairs = written(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
     p = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("h").alias("hb")), "b")
     p = p.join(sets.select(F.col("doc_id").alias("a"), F.col("h").alias("ha")), "a")
     p = p.select("a", "b", F.size("ha").alias("na"), F.size("hb").alias("nb"), F.size(F.array_intersect("ha", "hb")).alias("n"))
     return p.where(100 * F.col("n") >= percent * (F.col("na") + F.col("nb") - F.col("n"))).select("a", "b")
 
 
-def near_duplicates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS, likely: float = LIKELY) -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of ``docs``."""
-    spark = docs.sparkSession
     sk = written(sketches(docs, words, bands, rows, percent), "sketches")
-    # equal sets: one class each, kept by its least document
-    same = sk.where("doc_id is not null and n_shingles > 0").groupBy("set_id").agg(F.min("doc_id").alias("rep"))
-    reps = sk.join(same.select(F.col("rep").alias("doc_id"), "set_id"), ["doc_id", "set_id"], "left_semi").dropDuplicates(["doc_id"])
-    reps = written(reps.select(F.col("doc_id").alias("id"), "keys", "sig", F.col("n_shingles").alias("size")), "representatives")
+    # equal sets: one class each, kept by its least document; written, so that the joins with large classes can be split
+    same = written(sk.where("doc_id is not null and n_shingles > 0").groupBy("set_id").agg(F.min("doc_id").alias("rep")), "classes")
+    reps = sk.join(same.select(F.col("rep").alias("doc_id"), "set_id"), ["doc_id", "set_id"], "left_semi").dropDuplicates(["doc_id", "set_id"])
+    reps = written(reps.select(F.col("doc_id").alias("id"), "keys"), "representatives")
     member = written(sk.select("doc_id", "n_shingles", "set_id").join(same, "set_id", "left").select("doc_id", "n_shingles", "rep"), "members")
     forget(sk)
-    every = reps.select("id", F.explode("keys").alias("k"))
-    full = every.groupBy("k").agg(F.count("*").alias("n")).where("n > 1")
+    # several texts of one doc_id
+    several = member.where("rep is not null").groupBy("doc_id").agg(F.min("rep").alias("a"), F.max("rep").alias("_z")).where("a <> _z").select("doc_id", "a")
+    links = written(member.join(several, "doc_id").where("a <> rep").select("a", F.col("rep").alias("b")).distinct(), "links")
+    every = reps.select("id", F.explode("keys").alias("k")).distinct()
+    full = written(every.groupBy("k").agg(F.count("*").alias("n")).where("n > 1"), "shared-keys")
     met = written(every.join(full, "k").select("k", "id", "n"), "buckets")
     weight = written(met.groupBy("id").agg(F.sum("n").alias("w")), "weights")
     wanted = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(weight.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
-    sets = written(full_sets(wanted, words).dropDuplicates(["doc_id"]), "sets")
-    sigs = reps.select("id", "sig", "size").join(weight.select("id"), "id", "left_semi")
-    links, label = None, None
-    for step in ("star", "star", "blocks"):
-        r = met.select("k", "id")
-        if label is not None:
-            r = r.join(label.select("id", "component"), "id", "left")
-        r = r.select("k", "id", F.coalesce(F.col("component"), F.col("id")).alias("c") if label is not None else F.col("id").alias("c"))
-        if step == "star":
-            found = _star(r, weight)
-            # the second star starts from a member outside the first centre's component
-            if label is not None:
-                top = r.join(weight, "id").groupBy("k").agg(F.max(F.struct("w", (-F.col("id")).alias("i"), "c")).alias("m")).select("k", F.col("m.c").alias("top"))
-                rest = r.join(top, "k")
-                second = rest.where("c <> top").join(weight, "id").groupBy("k").agg(F.max(F.struct("w", (-F.col("id")).alias("i"), "c")).alias("m"))
-                second = second.select("k", (-F.col("m.i")).alias("a"), F.col("m.c").alias("ca"))
-                found = r.join(second, "k").where("c <> ca").select("a", F.col("id").alias("b"))
+    sets = written(full_sets(wanted, words).dropDuplicates(["doc_id", "set_id"]), "sets")
+    label = components(links)
+    for step in ("first star", "second star", "main blocks", "blocks"):
+        r = met.select("k", "id").join(label.select("id", "component"), "id", "left").select("k", "id", F.coalesce("component", "id").alias("c"))
+        live = r.groupBy("k").agg(F.count("*").alias("n"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("k", "n")
+        r = written(r.join(live, "k"), "live-buckets")
+        if r.isEmpty():
+            break
+        if step == "first star":
+            found = _confirmed(_star(r, weight), sets, percent)
+        elif step == "second star":
+            # from a member outside the first centre's component
+            top = r.join(weight, "id").groupBy("k").agg(F.max(F.struct("w", (-F.col("id")).alias("i"), "c")).alias("m")).select("k", F.col("m.c").alias("top"))
+            second = r.join(top, "k").where("c <> top").join(weight, "id").groupBy("k").agg(F.max(F.struct("w", (-F.col("id")).alias("i"), "c")).alias("m"))
+            second = second.select("k", (-F.col("m.i")).alias("a"), F.col("m.c").alias("ca"))
+            found = _confirmed(r.join(second, "k").where("c <> ca").select("a", F.col("id").alias("b")), sets, percent)
+        elif step == "main blocks":
+            # each member's largest bucket: what is joined there need not be compared in its other buckets
+            largest = r.groupBy("id").agg(F.max(F.struct("n", "k")).alias("m")).select(F.col("m.k").alias("k"))
+            main = written(largest.distinct(), "main-keys")
+            found = _blocks(r.join(main, "k", "left_semi").select("k", "id", "c"), sets, percent)
         else:
-            found = _blocks(r, sigs, likely)
-        found = written(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
-        ok = written(_confirmed(found, sets, percent), "links")
-        links = ok if links is None else links.union(ok)
+            found = _blocks(r.join(main, "k", "left_anti").select("k", "id", "c"), sets, percent)
+        links = links.union(written(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "links"))
         label = components(links)
     out = member.join(label.select(F.col("id").alias("rep"), "component"), "rep", "left")
     out = out.select("doc_id", "n_shingles", F.coalesce("component", "rep", "doc_id").alias("component_id"))
