@@ -15,21 +15,38 @@ _LOCAL: dict[str, str] = {}
 
 
 def work_folder(spark: SparkSession) -> str:
-    """The shared folder that the session names; a folder of this machine where it names none."""
+    """The shared folder that the session names; a folder of this machine where it names none and runs on this machine alone."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
+    if spark.sparkContext.master != "local" and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     app = spark.sparkContext.applicationId
     if app not in _LOCAL:
         _LOCAL[app] = "file://" + tempfile.mkdtemp(prefix="treecount-")
     return _LOCAL[app]
 
 
+def fresh_path(spark: SparkSession, name: str) -> str:
+    """A path below the shared folder that no other call gets."""
+    return f"{work_folder(spark)}/{name}-{uuid.uuid4().hex[:12]}"
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """``df`` as a table in the shared folder: cuts lineage and survives lost executors."""
-    path = f"{work_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex[:12]}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    path = fresh_path(df.sparkSession, name)
+    df.write.option("compression", "zstd").parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._store_path = path
+    return out
+
+
+def forget(df: DataFrame) -> None:
+    """Delete a table made by `written` that nothing reads any more."""
+    path = getattr(df, "_store_path", None)
+    if path:
+        p = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(p, True)
 
 
 def block_of(v: Column, blocks: int, scheme: str = "poly") -> Column:
