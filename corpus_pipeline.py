@@ -1,4 +1,9 @@
-"""From raw documents to packed sequences: quality, lines, near copies, personal data, packing."""
+"""From raw documents to packed sequences: quality, lines, near copies, personal data, packing.
+
+All stages but the last return the columns of documents and leave any other column as it is, whatever its
+name.  Nulls, repeated rows, empty tables and long texts are handled as the stages' operators say; rows
+that share a doc_id are one document to the near-copy stage and stay or go together.
+"""
 
 from __future__ import annotations
 
@@ -12,17 +17,20 @@ from treecount.llm._store import written
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the standard policy keeps."""
     columns = docs.columns
-    book = quality.ledger(docs, tuple(columns))
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("own"), "text")
+    book = quality.ledger(own, ("own",))
     # a generator keeps the optimizer from moving the filter, and with it a copy of every measurement, below them
-    book = book.select(F.inline(F.array(F.struct(*columns, "fail_bits"))))
-    return book.where(quality.verdict(quality.POLICIES[1])).select(*columns)
+    book = book.select(F.inline(F.array(F.struct("own", "fail_bits"))))
+    return book.where(quality.verdict(quality.POLICIES[1])).select(*[F.col("own").getField(c).alias(c) for c in columns])
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with the first line of each class of near copies."""
-    out = linededup.dedup_lines(docs)
-    text = F.col("text")
-    return out.select(*[F.char_length(text).cast("long").alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
+    columns = docs.columns
+    own = F.struct(*[F.col(f"`{c}`") for c in columns]).alias("own")
+    out = linededup.dedup_lines(docs.select("doc_id", "text", own))
+    new = {"text": F.col("text"), "n_chars": F.char_length("text").cast("long")}
+    return out.select(*[new.get(c, F.col("own").getField(c)).alias(c) for c in columns])
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,8 +42,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with personal data and the terms that reveal them replaced."""
     out = privacy.sanitise(docs)
-    text = F.col("text")
-    return out.select(*[F.char_length(text).cast("long").alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
+    return out.select(*[(F.char_length("text").cast("long") if c == "n_chars" else F.col(f"`{c}`")).alias(c) for c in docs.columns])
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -51,7 +58,7 @@ STAGES = [
     ("pack", pack),
 ]
 
-#: Tokenisation and near-copy components are beyond SQL; tests hold the stages against brute force.
+#: Tokenisation and fuzzy components are beyond SQL; tests/llm/test_cases.py holds the stages against brute force.
 ORACLE_SQL = None
 
 

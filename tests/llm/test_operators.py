@@ -183,7 +183,7 @@ def test_scores_prefer_what_was_seen(spark):
 
     train = spark.createDataFrame([(i, text(False)) for i in range(120)], "doc_id long, text string")
     top = lmscore.vocabulary(train)
-    params = lmscore.train(train, top, rounds=2, mask=2)
+    params = lmscore.train(train, top, rounds=4)
     held = spark.createDataFrame([(i, text(i % 2 == 1)) for i in range(10)] + [(99, None)], "doc_id long, text string")
     got = by_id(lmscore.score(held, top, params))
     assert got[99].n_words == 0 and got[99].log_likelihood == 0
@@ -220,31 +220,42 @@ def test_scores_predict_the_word_itself(spark):
     assert len({r.log_likelihood for r in out if r.doc_id == 31}) == 1
 
 
-def test_training_covers_every_position(spark, monkeypatch):
+def test_training_covers_every_position(monkeypatch):
+    texts = ["w0", "w1 w2", " ".join(f"w{i}" for i in range(3, 30)), None, ""]
     seen = []
-
-    class Spy(lmscore.Net):
-        def learn(self, context, target, rate):
-            seen.extend(target.tolist())
-
-    monkeypatch.setattr(lmscore, "Net", Spy)
-    texts = ["w0", "w1 w2", " ".join(f"w{i}" for i in range(3, 30))]
+    monkeypatch.setattr(lmscore.Net, "learn", lambda self, context, target, rate: seen.extend(target.tolist()))
     top = [f"w{i}" for i in range(30)]
-
-    class Docs:  # runs the trainer in this process
-        sparkSession = spark
-
-        def select(self, *_):
-            return self
-
-        def mapInArrow(self, run, schema):
-            import pyarrow as pa
-
-            list(run([pa.RecordBatch.from_arrays([pa.array(texts)], ["text"])]))
-            return spark.createDataFrame([], schema)
-
-    lmscore.train(Docs(), top, rounds=1)
-    assert Counter(seen) == {i: 1 for i in range(30)}
+    classes = lmscore.Classes(top)
+    context, target, starts = lmscore.windows([x for t in texts if len(x := classes.of(t))])
+    lmscore.Net().learn(context, target, 0.1)
+    assert Counter(seen) == {i: 1 for i in range(30)} and list(starts) == [0, 1, 3, 30]
+    assert [int(c[0]) for c in context] == [lmscore.EDGE] * 4 and [int(c[1]) for c in context] == [lmscore.EDGE, lmscore.EDGE, 2, lmscore.EDGE]
+
+
+def test_network_is_a_distribution_and_equals_brute_force():
+    net = lmscore.Net()
+    rng = np.random.default_rng(0)
+    context = [rng.integers(0, lmscore.CLASSES, 3) for _ in range(2 * lmscore.SIDE)]
+    total, embed = np.zeros(3), net.views[0]
+    for c in range(lmscore.CLASSES):
+        p = net.log_probabilities(context, np.full(3, c))
+        total += np.exp(p.astype(float))
+        if c % 97 == 0:
+            for i in range(3):
+                a = np.maximum(sum(embed[k][context[k][i]] for k in range(4)) + net.views[1], 0)
+                soft = lambda z: np.exp(z - z.max()) / np.exp(z - z.max()).sum()
+                g = c // lmscore.WIDTH
+                want = np.log(soft(a @ net.views[2] + net.views[3])[g] * soft(a @ net.views[4][g] + net.views[5][g])[c % lmscore.WIDTH])
+                assert abs(want - p[i]) < 1e-4
+    assert np.allclose(total, 1, atol=1e-4)
+
+
+def test_training_does_not_depend_on_the_split(spark):
+    rows = [(i, f"a{i % 7} b{i % 5} c{i % 3} d a{i % 4}" * 3) for i in range(200)]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    top = lmscore.vocabulary(d)
+    one, two = (lmscore.train(d.repartition(n), top, replica=2000) for n in (1, 7))
+    assert np.allclose(one, two, atol=1e-6) and not np.allclose(one, lmscore.Net().params)
 
 
 def test_privacy_judges_rare_entities_and_copies(spark):

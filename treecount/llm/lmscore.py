@@ -1,19 +1,25 @@
 """Documents scored by masked pseudo-likelihood with a bidirectional window network.
 
-The network predicts a word's class from the ``SIDE`` words on each side of it: embeddings by position
-add up to a hidden layer, a rectifier, and a softmax over the classes.  A word's probability is that of
-its class given both sides, times the word's share of its class.  A document's score is the sum of the
-log-probabilities of all its words, each masked in turn.
+Every word is masked in turn and predicted from the ``SIDE`` words on each side of it: embeddings by
+position add up to a hidden layer, a rectifier, and a softmax in three levels.  The network gives the
+group of classes, then the class within its group, each as a softmax over ``WIDTH`` outputs given the
+context; the word's share of its class, from counts over the whole corpus, gives the word itself.  A
+document's score is the sum of the log-probabilities of all its words.
 
 The vocabulary is all words of the corpus: the most frequent have a class of their own, the others
-share classes by a hash of their last letters.  The shares come from counts over the whole corpus, a
-table that grows with it and is joined by the word; it never reaches the driver.  Training masks every position of every
-document once a round, one in ``MASK`` at a time; each task trains a replica from a common start on its own documents, the replicas are
-averaged with their numbers of examples as weights by an aggregation over parameter blocks, and the
-rounds repeat from the average.  Only the averaged parameters, whose size is fixed, reach the driver.
-
-Defined cases: null and wordless texts have no word and score 0; repeated rows score alike; an empty
-table trains nothing and returns nothing; a word at an end of the text sees an edge class there.
+share classes by a hash of their last letters.  The shares are a table that grows with the corpus and is
+joined by the word; it never reaches the driver.  Training takes every position of every document in
+each of ``ROUNDS`` passes.  Documents are dealt to replicas by a hash of their content, as many as the
+corpus's length asks for, and each replica learns from a common start in the order of that hash, so the
+result does not depend on how the input is split.  Replicas are averaged with their numbers of examples
+as weights by an aggregation over parameter blocks; only the averaged parameters, whose size is fixed,
+reach the driver.
+
+Defined cases: null and wordless texts have no word and score 0; repeated rows score alike, as do rows
+without a doc_id; an empty table trains nothing and returns nothing; a word at an end of the text sees an
+edge class there; ties in the frequency of words go by word order; a very long text is one row of a
+batch of bounded rows and is learnt and scored in blocks of positions.  Only doc_id and text are read, so
+other columns may have any name.
 """
 
 from __future__ import annotations
@@ -27,17 +33,20 @@ from pyspark.sql import functions as F
 from ._store import small_batches, written
 from .quality import words
 
-TOP = 191
-SHARED = 64
-EDGE = TOP + SHARED
-CLASSES = EDGE + 1
+#: Groups of classes, and classes in a group.
+WIDTH = 32
+SHARED = 128
+EDGE = WIDTH * WIDTH - 1
+TOP = EDGE - SHARED
+CLASSES = WIDTH * WIDTH
 SIDE = 2
-HIDDEN = 32
-MASK = 8
-ROUNDS = 2
-RATE = 0.5
-BATCH = 256
+HIDDEN = 16
+ROUNDS = 1
+RATE = 0.2
+BATCH = 4096
 BLOCK = 512
+#: Code points of a replica's documents.
+REPLICA = 16_000_000
 
 
 def vocabulary(docs: DataFrame, top: int = TOP) -> list[str]:
@@ -52,59 +61,107 @@ class Net:
     def __init__(self, params=None, seed: int = 7):
         import numpy as np
 
-        sizes = (2 * SIDE * CLASSES * HIDDEN, HIDDEN, HIDDEN * CLASSES, CLASSES)
+        sizes = (2 * SIDE * CLASSES * HIDDEN, HIDDEN, HIDDEN * WIDTH, WIDTH, WIDTH * HIDDEN * WIDTH, WIDTH * WIDTH)
         if params is None:
             rng = np.random.default_rng(seed)
-            params = np.concatenate([rng.normal(0, s, n) for s, n in zip((0.3, 0.0, 0.1, 0.0), sizes)]).astype(np.float32)
-        cut = np.cumsum((0, *sizes))
+            params = np.concatenate([rng.normal(0, s, n) for s, n in zip((0.3, 0.0, 0.1, 0.0, 0.1, 0.0), sizes)]).astype(np.float32)
         self.params = np.array(params, np.float32)
-        e, b, o, c = (self.params[x:y] for x, y in zip(cut[:-1], cut[1:]))
-        self.embed, self.bias = e.reshape(2 * SIDE, CLASSES, HIDDEN), b
-        self.out, self.prior = o.reshape(HIDDEN, CLASSES), c
+        self.views = self._views(self.params, sizes)
+        # of each parameter, the squares of its gradients so far
+        self.seen = self._views(np.full(len(self.params), 1e-6, np.float32), sizes)
+
+    @staticmethod
+    def _views(flat, sizes):
+        import numpy as np
+
+        cut = np.cumsum((0, *sizes))
+        e, b, g, gp, c, cp = (flat[x:y] for x, y in zip(cut[:-1], cut[1:]))
+        return e.reshape(2 * SIDE, CLASSES, HIDDEN), b, g.reshape(HIDDEN, WIDTH), gp, c.reshape(WIDTH, HIDDEN, WIDTH), cp.reshape(WIDTH, WIDTH)
 
     def _hidden(self, context):
-        h = self.embed[0][context[0]] + self.bias
+        embed, bias = self.views[:2]
+        h = embed[0][context[0]] + bias
         for k in range(1, 2 * SIDE):
-            h += self.embed[k][context[k]]
+            h += embed[k][context[k]]
         return h
 
+    @staticmethod
+    def _softmax(z):
+        import numpy as np
+
+        z -= z.max(1, keepdims=True)
+        np.exp(z, out=z)
+        z /= z.sum(1, keepdims=True)
+        return z
+
+    def _by_group(self, target):
+        """Order of the examples by the target's group, and (group, slice) of those present."""
+        import numpy as np
+
+        group = target // WIDTH
+        order = np.argsort(group, kind="stable")
+        ends = np.cumsum(np.bincount(group, minlength=WIDTH))
+        return order, [(g, slice(lo, hi)) for g, (lo, hi) in enumerate(zip(np.concatenate([[0], ends[:-1]]), ends)) if hi > lo]
+
     def log_probabilities(self, context, target):
         """Of each target class given its context (2 * SIDE arrays)."""
         import numpy as np
 
+        _, _, group, group_prior, inner, inner_prior = self.views
         out = np.empty(len(target), np.float32)
-        for i in range(0, len(target), 4096):
-            part = [c[i : i + 4096] for c in context]
-            z = np.maximum(self._hidden(part), 0) @ self.out
-            z += self.prior
-            z -= z.max(1, keepdims=True)
-            own = z[np.arange(len(z)), target[i : i + 4096]].copy()
-            np.exp(z, out=z)
-            out[i : i + 4096] = own - np.log(z.sum(1))
+        for i in range(0, len(target), 8192):
+            t = target[i : i + 8192]
+            order, parts = self._by_group(t)
+            t = t[order]
+            a = np.maximum(self._hidden([c[i : i + 8192][order] for c in context]), 0)
+            p = self._softmax(a @ group + group_prior)[np.arange(len(t)), t // WIDTH]
+            for g, part in parts:
+                own = t[part] % WIDTH
+                p[part] *= self._softmax(a[part] @ inner[g] + inner_prior[g])[np.arange(len(own)), own]
+            out[i + order] = np.log(np.maximum(p, 1e-30))
         return out
 
+    def _step(self, k: int, gradient, rate: float, at=...) -> None:
+        import numpy as np
+
+        seen = self.seen[k][at]
+        seen += gradient * gradient
+        self.seen[k][at] = seen
+        self.views[k][at] -= rate * gradient / np.sqrt(seen)
+
     def learn(self, context, target, rate: float) -> None:
-        """One pass of stochastic gradient descent over the examples."""
+        """One pass of gradient descent over the examples, with a rate of each parameter's own."""
         import numpy as np
 
+        _, _, group, group_prior, inner, inner_prior = self.views
         for i in range(0, len(target), BATCH):
-            part, t = [c[i : i + BATCH] for c in context], target[i : i + BATCH]
-            h = self._hidden(part)
+            t = target[i : i + BATCH]
+            order, parts = self._by_group(t)
+            t = t[order]
+            near = [c[i : i + BATCH][order] for c in context]
+            h = self._hidden(near)
             a = np.maximum(h, 0)
-            z = a @ self.out + self.prior
-            z -= z.max(1, keepdims=True)
-            np.exp(z, out=z)
-            z /= z.sum(1, keepdims=True)
-            z[np.arange(len(t)), t] -= 1
+            z = self._softmax(a @ group + group_prior)
+            z[np.arange(len(t)), t // WIDTH] -= 1
+            back = z @ group.T
+            for g, part in parts:
+                own = t[part] % WIDTH
+                y = self._softmax(a[part] @ inner[g] + inner_prior[g])
+                y[np.arange(len(own)), own] -= 1
+                back[part] += y @ inner[g].T
+                y /= len(t)
+                self._step(4, a[part].T @ y, rate, g)
+                self._step(5, y.sum(0), rate, g)
             z /= len(t)
-            g = (z @ self.out.T) * (h > 0)
-            self.out -= rate * (a.T @ z)
-            self.prior -= rate * z.sum(0)
-            self.bias -= rate * g.sum(0)
+            self._step(2, a.T @ z, rate)
+            self._step(3, z.sum(0), rate)
+            back *= h > 0
+            back /= len(t)
+            self._step(1, back.sum(0), rate)
+            columns = np.ascontiguousarray(back.T)
             for k in range(2 * SIDE):
-                hot = np.zeros((len(t), CLASSES), np.float32)
-                hot[np.arange(len(t)), part[k]] = 1
-                self.embed[k] -= rate * (hot.T @ g)
+                sums = np.stack([np.bincount(near[k], x, CLASSES) for x in columns], 1).astype(np.float32)
+                self._step(0, sums, rate, k)
 
 
 class Classes:
@@ -143,17 +200,19 @@ def windows(ids: list):
     return [flat[at + k] for k in (*range(-SIDE, 0), *range(1, SIDE + 1))], flat[at], starts
 
 
-def train(docs: DataFrame, top: list[str], rounds: int = ROUNDS, mask: int = MASK, rate: float = RATE):
+def train(docs: DataFrame, top: list[str], rounds: int = ROUNDS, rate: float = RATE, replica: int = REPLICA):
     """Averaged parameters (numpy float32); None where there is no word."""
     import numpy as np
 
     small_batches(docs.sparkSession)
     params = Net().params
-    total = 0
+    length = docs.agg(F.sum(F.char_length("text")).alias("n")).first()["n"] or 0
+    own = F.xxhash64("text")
+    dealt = docs.where("text is not null").select(own.alias("at"), "text").repartition(-(-length // replica) or 1, "at").sortWithinPartitions("at").select("text")
     for turn in range(rounds):
         start, step = params, rate / (1 + turn)
 
-        def run(batches: Iterator[pa.RecordBatch], start=start, step=step, turn=turn) -> Iterator[pa.RecordBatch]:
+        def run(batches: Iterator[pa.RecordBatch], start=start, step=step) -> Iterator[pa.RecordBatch]:
             import numpy as np
 
             net, classes, n = Net(start), Classes(top), 0
@@ -161,13 +220,9 @@ def train(docs: DataFrame, top: list[str], rounds: int = ROUNDS, mask: int = MAS
                 ids = [x for t in batch.column("text").to_pylist() if len(x := classes.of(t))]
                 if not ids:
                     continue
-                context, target, starts = windows(ids)
-                # each position is masked once a round: every mask-th of a document at a time, shifted by its length and the round
-                place = np.arange(len(target)) - np.repeat(starts[:-1], np.diff(starts)) + np.repeat(np.diff(starts) + turn * (mask // 2), np.diff(starts))
-                for phase in range(mask):
-                    pick = np.flatnonzero(place % mask == phase)
-                    net.learn([c[pick] for c in context], target[pick], step)
-                    n += len(pick)
+                context, target, _ = windows(ids)
+                net.learn(context, target, step)
+                n += len(target)
             if n:
                 rows = range(0, len(net.params), BLOCK)
                 yield pa.RecordBatch.from_arrays(
@@ -175,9 +230,7 @@ def train(docs: DataFrame, top: list[str], rounds: int = ROUNDS, mask: int = MAS
                     ["block", "n", "w"],
                 )
 
-        parts = docs.select("text").mapInArrow(run, "block int, n long, w array<double>")
-        sums = parts.groupBy("block").agg(F.sum("n").alias("n"), *[F.sum(F.get("w", F.lit(i))).alias(f"w{i}") for i in range(0)]) if False else _summed(parts)
-        rows = sums.collect()
+        rows = _summed(dealt.mapInArrow(run, "block int, n long, w array<double>")).collect()  # a row a parameter
         if not rows:
             return None
         total = max(r["n"] for r in rows)

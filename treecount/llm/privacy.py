@@ -15,8 +15,10 @@ the others generalised to a class label.
 Counting: terms, entities, pairs and the corpus are all counted in distinct lines, so copies of one line
 are one piece of evidence.  All are aggregations with map-side combining.
 
-Defined cases: null texts are empty; repeated rows are treated each; an empty table, or one without
-entities, has no disclosing term; other columns of the table are left as they are.
+Defined cases: null texts are empty; repeated rows and rows that share a doc_id are treated each, rows
+without one too; an empty table, or one without entities, has no disclosing term; spans of equal start go
+by kind; a very long text is matched whole, in linear time, its spans gathered in one array; other columns
+of the table are left as they are, whatever their names.
 """
 
 from __future__ import annotations
@@ -126,9 +128,11 @@ def disclosing_terms(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame
     found = found.select(F.xxhash64("_t").alias("line"), _terms(rest).alias("terms"), F.array_distinct(value).alias("entities")).where(F.size("entities") > 0)
     found = written(found.dropDuplicates(["line"]), "entity-lines")
     entity = found.select("line", F.explode("entities").alias("entity"))
-    n_entity = entity.groupBy("entity").agg(F.count("*").alias("ne"))
-    pairs = found.select("terms", F.explode("entities").alias("entity")).join(n_entity, "entity").select("entity", "ne", F.explode("terms").alias("term"))
-    pairs = written(pairs.groupBy("entity", "ne", "term").agg(F.count("*").alias("nj")), "entity-terms")
+    n_entity = written(entity.groupBy("entity").agg(F.count("*").alias("ne")), "entities")
+    # summed by entity and term before the join, so that a frequent entity's lines never meet in one task
+    pairs = found.select("terms", F.explode("entities").alias("entity")).select("entity", F.explode("terms").alias("term"))
+    pairs = pairs.groupBy("entity", "term").agg(F.count("*").alias("nj"))
+    pairs = written(pairs.join(n_entity, "entity").select("entity", "ne", "term", "nj"), "entity-terms")
     if pairs.isEmpty():
         return pairs.select("term", F.lit(0.0).alias("disclosure"))
     # one line of each text, by its hash; in the entities' lines the words inside an address do not count
@@ -179,8 +183,9 @@ def listed(spans: Column) -> Column:
 
 def sanitise(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """``docs`` with personal data replaced by labels and disclosing terms generalised or removed in ``text``."""
-    others = [c for c in docs.columns if c != "text"]
-    d = find(docs, [*others, "text"], threshold)
+    names = docs.columns
+    own = F.struct(*[F.col(f"`{c}`") for c in names]).alias("own")  # apart from the columns made here, whatever their names
+    d = find(docs.select(own, "doc_id", "text"), ["own"], threshold)
     labels = F.array(*[F.lit(LABELS[k]) for k in KINDS], F.lit(GENERAL))
     spans = F.sort_array(F.concat(*[F.col(f"_{k}") for k in KINDS], F.col("_terms")))
 
@@ -194,8 +199,8 @@ def sanitise(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
 
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     new = F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substring(F.col("_t"), acc["at"] + 1, F.char_length("_t") - acc["at"])))
-    text = F.when(F.size(spans) == 0, F.col("text")).otherwise(new)
-    return d.select(*[text.alias(c) if c == "text" else F.col(c) for c in docs.columns])
+    text = F.when(F.size(spans) == 0, F.col("own")["text"]).otherwise(new)
+    return d.select(*[(text if c == "text" else F.col("own").getField(c)).alias(c) for c in names])
 
 
 def op3_information_pii(spark, sf_dir: str) -> DataFrame:
