@@ -83,6 +83,65 @@ def test_all_modes_agree(spark):
     want = sorted(map(tuple, X.signed_subset_count(g, t, C.assign_colors(g.nodes(), 5, [1, 2, 3])).collect()))
     for mode in C.MODES:
         assert sorted(map(tuple, C.colorful_count(g, t, [1, 2, 3], mode=mode, threshold=4).collect())) == want, mode
+    for how in ({"combine_by": "residual"}, {"combine_by": "table"}, {"combine_by": "packed"}, {"order": "light"}, {"order": "best"}, {"root": 3}, {"share": False}, {"mode": "staged", "overlap": False}, {"mode": "adaptive_split", "s": 1, "threshold": 0}):
+        assert sorted(map(tuple, C.colorful_count(g, t, [1, 2, 3], **how).collect())) == want, how
+
+
+def test_counts_beyond_64_bits(spark):
+    n = 600
+    both = edges_of(spark.range(n * n).select((F.col("id") % n).alias("a"), (F.floor(F.col("id") / n) + n).alias("b")))
+    g, t = E.stored(EdgeGraph(both)), TreeTemplate.star(8)
+    assert C.count_type_for(g, 8) == "decimal" and C.count_type_for(g, 3) == "long" and C.count_type_for(g, 12) == "double"
+    got = {k: C.colorful_count(g, t, [1], count_type=k).first()["colorful"] for k in ("decimal", "double", "auto")}
+    colors = {r.v: r.mask for r in C.assign_colors(g.nodes(), 8, [1]).collect()}
+    side = [[sum(m == 1 << c for v, m in colors.items() if (v < n) == low) for c in range(8)] for low in (True, False)]
+    # a centre on one side, a leaf of every other colour on the other
+    want = sum(side[s][c] * math.prod(side[1 - s][x] for x in range(8) if x != c) for s in (0, 1) for c in range(8))
+    assert int(got["decimal"]) == want == int(got["auto"]) and got["double"] == pytest.approx(want, rel=1e-9)
+    with pytest.raises(Exception, match="overflow|OVERFLOW|out of range"):
+        C.colorful_count(E.EdgeGraph(g.edges), TreeTemplate.star(9), [1]).collect()
+
+
+def test_switch_keeps_small_templates_in_one_exchange():
+    small, large = TreeTemplate.named("u5-2"), TreeTemplate.named("u10-2")
+    for switch in ("size", "intensity", "cost"):
+        assert not any(C.is_large(x, small, switch) for x in T.split_plan(small).steps), switch
+        assert any(C.is_large(x, large, switch) for x in T.split_plan(large).steps), switch
+    assert all(C.is_large(x, small, threshold=0) for x in T.split_plan(small).steps)
+
+
+def test_samples_are_complete_and_sound(spark):
+    pairs = [*K4, (4, 5), (5, 6), (2, 6), (6, 7)]
+    g, t = graph(spark, pairs), TreeTemplate.named("fork5")
+    near = {frozenset(p) for p in pairs}
+    color = {r.v: r.mask for r in C.assign_colors(g.nodes(), 5, [1]).collect()}
+    parents = C.walk_parents(t)
+    every = {m for m in itertools.permutations(range(1, 8), 5) if all(p < 0 or frozenset((m[i], m[p])) in near for i, p in enumerate(parents)) and len({color[v] for v in m}) == 5}
+    rows = {tuple(r) for r in C.sample_embeddings(g, t, 1000).collect()}
+    assert rows == every and every
+    few = {tuple(r) for r in C.sample_embeddings(g, t, 3).collect()}
+    assert len(few) == min(3, len(every)) and few <= every
+
+
+def test_four_cycles(spark):
+    pairs = [*K4, (4, 5), (5, 6), (2, 6), (6, 7), (7, 8), (3, 8)]
+    near = {frozenset(p) for p in pairs}
+    want = sum(all(frozenset((m[i], m[i - 1])) in near for i in range(4)) for m in itertools.permutations(range(1, 9), 4)) // 8
+    assert X.four_cycles(graph(spark, pairs)).first()[0] == want
+
+
+def test_tags_refuse_what_does_not_fit(spark):
+    tag = lambda a, b, c: spark.range(1).select(E.pack_tag(F.lit(a), F.lit(b), F.lit(c)).alias("t")).first()["t"]
+    assert tag(1023, 1, 4095) & 0xFFFFFFFF == 1023 << 22 | 1 << 12 | 4095
+    with pytest.raises(Exception, match="too large"):
+        tag(1, 1024, 0)
+
+
+def test_a_local_folder_serves_one_machine_only(spark, monkeypatch):
+    assert E.work_folder(spark)
+    cluster = type("S", (), {"conf": type("C", (), {"get": staticmethod(lambda *_: None)}), "sparkContext": type("X", (), {"master": "spark://host:7077", "applicationId": "a"})})
+    with pytest.raises(ValueError):
+        E.work_folder(cluster)
 
 
 def test_dirty_edges(spark):
@@ -133,7 +192,7 @@ def test_estimates_use_all_colourings_of_eps_and_delta(spark, monkeypatch):
 
     monkeypatch.setattr(counting, "colorful_count", count)
     monkeypatch.setattr(counting, "written", lambda df, name: df)
-    monkeypatch.setattr(queries.G, "graph", lambda *_: None)
+    monkeypatch.setattr(queries.G, "graph", lambda *_: graph(spark, K4))
     r = queries.QUERIES["estimate_tree_count_u3_1"](spark, None).first()
     assert r.n_iter == 186 and sum(n for _, n in used) == 186
     used.clear()

@@ -13,17 +13,21 @@ neighbour lists cut into tasks (``adaptive_split``).  All modes give the same co
 from __future__ import annotations
 
 import math
+import time
 from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.templates import Shape, SplitStep, TreeTemplate, n_colorings, scale_up, split_plan
+from ..functions import packed
+from ..plans.templates import Shape, SplitStep, TreeTemplate, intensity, n_colorings, scale_up, split_plan
 from ..sources.graphs import EdgeGraph
-from .exchange import block_of, ring_offset, written
+from .exchange import block_of, forget, ring_offset, stored, written
 
 PRIME = 2147483647
-MODES = ("bulk", "staged", "adaptive", "adaptive_split", "edgewise", "local_remote", "disk_staged", "resident_bulk", "replicated")
+#: Pairs of colour sets tested for each disjoint one before a table of splits serves better.
+PAIRS_PER_SPLIT = 16
+MODES = ("bulk", "staged", "adaptive", "adaptive_split", "edgewise", "local_remote", "disk_staged", "resident_bulk", "static_slots", "replicated")
 
 
 # -- colouring ----------------------------------------------------------------------------------
@@ -60,17 +64,37 @@ def assign_colors(vertices: DataFrame, k: int, iters: list[int], seed: int = 42,
     return vertices.select("v", F.explode(rows).alias("x")).select("x.it", "v", "x.mask")
 
 
-def init_counts(coloring: DataFrame) -> DataFrame:
+#: Column types of counts.  Long raises an error where it overflows; decimals are exact to 32 digits; doubles carry a
+#: relative error of about the number of additions * 2^-53.
+COUNT_TYPES = {"long": "long", "decimal": "decimal(38,0)", "double": "double"}
+
+
+def init_counts(coloring: DataFrame, count_type: str = "long") -> DataFrame:
     """Counts of the single vertex: one, with the vertex's own colour."""
-    return coloring.select("it", "v", "mask", F.lit(1).cast("long").alias("cnt"))
+    return coloring.select("it", "v", "mask", F.lit(1).cast(COUNT_TYPES[count_type]).alias("cnt"))
+
+
+def count_type_for(graph: EdgeGraph, k: int) -> str:
+    """``long`` where no count can pass 63 bits, ``decimal`` up to 32 digits, ``double`` beyond: one aggregation of degrees.
+
+    A tree of k vertices has at most V * D^(k-1) images, D the largest degree.
+    """
+    n = graph.edges.groupBy("src").agg(F.count("*").alias("n")).agg(F.count("*").alias("v"), F.max("n").alias("d")).first()
+    bits = math.log2(max(n["v"] or 1, 1)) + (k - 1) * math.log2(max(n["d"] or 1, 1))
+    return "long" if bits < 62 else "decimal" if bits < 105 else "double"
 
 
 # -- one step -----------------------------------------------------------------------------------
 
 
-def neighbor_sums(cut: DataFrame, edges: DataFrame, wide: bool = False) -> DataFrame:
+def _total(value: Column, like: DataFrame, column: str) -> Column:
+    """Sum in the type of a column; long and decimal sums raise an error where they overflow."""
+    return F.sum(value).cast(like.schema[column].dataType)
+
+
+def neighbor_sums(cut: DataFrame, edges: DataFrame) -> DataFrame:
     """(it, v, mask, n): for each vertex the sum of its neighbours' counts."""
-    n = F.sum(F.col("cnt").cast("decimal(38,0)") if wide else F.col("cnt")).alias("n")
+    n = _total(F.col("cnt"), cut, "cnt").alias("n")
     c = cut.select("it", F.col("v").alias("dst"), "mask", "cnt")
     return edges.select("src", "dst").join(c, "dst").groupBy("it", F.col("src").alias("v"), "mask").agg(n)
 
@@ -80,9 +104,9 @@ def combine(keep: DataFrame, sums: DataFrame, d: int, sizes: tuple[int, int] | N
     k, s = keep.alias("k"), sums.alias("s")
     free = F.expr("(k.mask & s.mask) = 0")
     j = k.join(s, (F.col("k.it") == F.col("s.it")) & (F.col("k.v") == F.col("s.v")) & free)
-    cnt = F.sum(F.col("k.cnt") * F.col("s.n"))
+    cnt = _total(F.col("k.cnt") * F.col("s.n"), keep, "cnt")
     out = j.groupBy("k.it", "k.v", F.expr("k.mask | s.mask").alias("mask")).agg(cnt.alias("cnt"))
-    return out.withColumn("cnt", _divided("cnt", d))
+    return _divided(out, d)
 
 
 def combine_by_table(keep: DataFrame, sums: DataFrame, d: int, k: int, t: int, a: int) -> DataFrame:
@@ -91,13 +115,36 @@ def combine_by_table(keep: DataFrame, sums: DataFrame, d: int, k: int, t: int, a
     table = F.broadcast(split_table(spark, k, t, a))  # C(k,t) C(t,a) rows, at most a few million by k <= 15
     x = keep.join(table, keep["mask"] == table["m1"]).select("it", "v", "m2", "target", "cnt")
     j = x.join(sums.select("it", "v", F.col("mask").alias("m2"), "n"), ["it", "v", "m2"])
-    out = j.groupBy("it", "v", F.col("target").alias("mask")).agg(F.sum(F.col("cnt") * F.col("n")).alias("cnt"))
-    return out.withColumn("cnt", _divided("cnt", d))
+    out = j.groupBy("it", "v", F.col("target").alias("mask")).agg(_total(F.col("cnt") * F.col("n"), keep, "cnt").alias("cnt"))
+    return _divided(out, d)
 
 
-def _divided(column: str, d: int) -> Column:
+def combine_packed(keep: DataFrame, sums: DataFrame, d: int, k: int, t: int, a: int) -> DataFrame:
+    """As `combine` with vector products over arrays of all colour sets; counts are doubles on the way."""
+    x = packed.combine(packed.pack(keep, k, a), packed.pack(sums, k, t - a, "n"), d, k, t, a)
+    return packed.unpack(x, k, t).withColumn("cnt", F.col("cnt").cast(keep.schema["cnt"].dataType))
+
+
+def combined(keep: DataFrame, sums: DataFrame, step: SplitStep, k: int, how: str = "auto") -> DataFrame:
+    """The step's combination: by testing all pairs of colour sets at a vertex (``residual``), by the ``table`` of splits, or ``packed``.
+
+    ``auto`` tests pairs while a fair share of them is disjoint, and looks the splits up beyond.
+    """
+    t, a, b = step.sizes
+    if how == "auto":
+        how = "table" if math.comb(k, a) * math.comb(k, b) > PAIRS_PER_SPLIT * math.comb(k, t) * math.comb(t, a) else "residual"
+    if how == "residual":
+        return combine(keep, sums, step.d)
+    return (combine_by_table if how == "table" else combine_packed)(keep, sums, step.d, k, t, a)
+
+
+def _divided(out: DataFrame, d: int) -> DataFrame:
     # exact: every occurrence was produced d times
-    return F.col(column) if d == 1 else F.expr(f"{column} div {d}")
+    if d == 1:
+        return out
+    kind = out.schema["cnt"].dataType
+    by = F.expr(f"cnt div {d}") if kind.simpleString() == "bigint" else (F.col("cnt") / d).cast(kind)
+    return out.withColumn("cnt", by)
 
 
 def extend_edgewise(keep: DataFrame, cut: DataFrame, edges: DataFrame, d: int) -> DataFrame:
@@ -105,8 +152,8 @@ def extend_edgewise(keep: DataFrame, cut: DataFrame, edges: DataFrame, d: int) -
     c = cut.select("it", F.col("v").alias("dst"), F.col("mask").alias("m2"), F.col("cnt").alias("n"))
     x = edges.select("src", "dst").join(c, "dst")
     j = x.join(keep.select("it", F.col("v").alias("src"), F.col("mask").alias("m1"), "cnt"), ["it", "src"]).where("(m1 & m2) = 0")
-    out = j.groupBy("it", F.col("src").alias("v"), F.expr("m1 | m2").alias("mask")).agg(F.sum(F.col("cnt") * F.col("n")).alias("cnt"))
-    return out.withColumn("cnt", _divided("cnt", d))
+    out = j.groupBy("it", F.col("src").alias("v"), F.expr("m1 | m2").alias("mask")).agg(_total(F.col("cnt") * F.col("n"), keep, "cnt").alias("cnt"))
+    return _divided(out, d)
 
 
 def extend_sumfirst(keep: DataFrame, cut: DataFrame, edges: DataFrame, d: int) -> DataFrame:
@@ -132,14 +179,16 @@ def sums_local_remote(cut: DataFrame, edges: DataFrame, blocks: int) -> DataFram
     """Neighbours of the own block first, all others after; the parts add up."""
     own = block_of(F.col("src"), blocks) == block_of(F.col("dst"), blocks)
     parts = neighbor_sums(cut, edges.where(own)).unionByName(neighbor_sums(cut, edges.where(~own)))
-    return parts.groupBy("it", "v", "mask").agg(F.sum("n").alias("n"))
+    return parts.groupBy("it", "v", "mask").agg(_total(F.col("n"), cut, "cnt").alias("n"))
 
 
-def sums_staged(cut: DataFrame, edges: DataFrame, blocks: int, group: int = 3, overlap: bool = True, name: str = "stage") -> DataFrame:
+def sums_staged(cut: DataFrame, edges: DataFrame, blocks: int, group: int = 3, overlap: bool = True, name: str = "stage", spans: list | None = None) -> DataFrame:
     """Ring-staged exchange: step w brings counts from the blocks at ring distance in its group only.
 
     Each step's partial sums are written, so the data in flight at any time are one step's.  With
-    ``overlap`` the next step's messages are selected while this step's sums run.
+    ``overlap`` the next step's messages are selected while this step's sums run.  Edges with a ``slot``
+    (`split_neighbor_lists`) are summed task by task.  The tables of the steps go once they are added up.
+    ``spans`` gets (step, kind, start, finish) of every transfer and computation.
     """
     spark = cut.sparkSession
     per = max(1, (group - 1) // 2)
@@ -149,10 +198,15 @@ def sums_staged(cut: DataFrame, edges: DataFrame, blocks: int, group: int = 3, o
     def message(w: int) -> tuple[DataFrame, DataFrame]:
         e = edges.where(offset == 0) if w == 0 else edges.where((offset > (w - 1) * per) & (offset <= w * per))
         wanted = e.select(F.col("dst").alias("v")).distinct()
-        return e, written(cut.join(wanted, "v", "left_semi"), f"{name}-message")
+        began = time.time()
+        sent = written(cut.join(wanted, "v", "left_semi"), f"{name}-message")
+        if spans is not None:
+            spans.append((w, "transfer", began, time.time()))
+        return e, sent
 
     def compute(e: DataFrame, counts: DataFrame) -> DataFrame:
-        return written(neighbor_sums(counts, e), f"{name}-sums")
+        part = sums_split(counts, e) if "slot" in e.columns else neighbor_sums(counts, e)
+        return written(part, f"{name}-sums")
 
     parts = []
     with ThreadPoolExecutor(1) as transfer:
@@ -163,11 +217,18 @@ def sums_staged(cut: DataFrame, edges: DataFrame, blocks: int, group: int = 3, o
                 ahead = transfer.submit(message, w + 1)
                 if not overlap:
                     ahead.result()
+            began = time.time()
             parts.append(compute(*now))
+            if spans is not None:
+                spans.append((w, "compute", began, time.time()))
+            forget(now[1])
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
-    return out.groupBy("it", "v", "mask").agg(F.sum("n").alias("n"))
+    out = written(out.groupBy("it", "v", "mask").agg(_total(F.col("n"), cut, "cnt").alias("n")), f"{name}-total")
+    for p in parts:
+        forget(p)
+    return out
 
 
 def split_neighbor_lists(edges: DataFrame, s: int = 50, exact: bool = True) -> DataFrame:
@@ -177,71 +238,91 @@ def split_neighbor_lists(edges: DataFrame, s: int = 50, exact: bool = True) -> D
 
         w = Window.partitionBy("src").orderBy(F.xxhash64("dst"), "dst")
         return edges.select("src", F.floor((F.row_number().over(w) - 1) / s).cast("int").alias("slot"), "dst")
-    deg = edges.groupBy("src").agg(F.ceil(F.count("*") / s).cast("int").alias("parts"))
-    return edges.join(deg, "src").select("src", F.pmod(F.xxhash64("dst"), F.col("parts")).cast("int").alias("slot"), "dst")
+    long = edges.groupBy("src").agg(F.ceil(F.count("*") / s).cast("int").alias("parts")).where("parts > 1")
+    # written, so that the join can split the partition that gets a hub's whole list
+    x = edges.join(written(long, "long-lists"), "src", "left")
+    return x.select("src", F.coalesce(F.pmod(F.xxhash64("dst"), F.col("parts")).cast("int"), F.lit(0)).alias("slot"), "dst")
 
 
 def sums_split(cut: DataFrame, tasks: DataFrame) -> DataFrame:
     """Two levels: sums of each slice, then of each vertex; a hub's slices are shared by many tasks."""
     c = cut.select("it", F.col("v").alias("dst"), "mask", "cnt")
-    part = tasks.join(c, "dst").groupBy("it", "src", "slot", "mask").agg(F.sum("cnt").alias("n"))
-    return part.groupBy("it", F.col("src").alias("v"), "mask").agg(F.sum("n").alias("n"))
+    part = tasks.join(c, "dst").groupBy("it", "src", "slot", "mask").agg(_total(F.col("cnt"), cut, "cnt").alias("n"))
+    return part.groupBy("it", F.col("src").alias("v"), "mask").agg(_total(F.col("n"), cut, "cnt").alias("n"))
 
 
 # -- the whole program --------------------------------------------------------------------------
 
 
-def is_large(step: SplitStep, k: int, switch: str = "size", threshold: float | None = None) -> bool:
-    """Whether a sub-template is worth a staged exchange."""
-    t, a, b = step.sizes
-    if switch == "intensity":
-        return math.comb(t, a) >= (threshold or 8)
-    if switch == "cost":
-        return math.comb(k, b) >= (threshold or 20)
-    return t >= (threshold or 5)
+#: Defaults of the switch: vertices of a sub-template, the template's intensity, colour sets sent for a vertex.
+SWITCH = {"size": 10, "intensity": 5.0, "cost": 100}
+
+
+def is_large(step: SplitStep, template: TreeTemplate, switch: str = "size", threshold: float | None = None) -> bool:
+    """Whether a sub-template is worth a staged exchange; small templates stay with one exchange by default."""
+    measure = {"size": step.sizes[0], "intensity": intensity(template), "cost": math.comb(template.k, step.sizes[2])}[switch]
+    return measure >= (SWITCH[switch] if threshold is None else threshold)
 
 
 def rooted_counts(
-    graph: EdgeGraph, template: TreeTemplate, coloring: DataFrame, mode: str = "bulk", blocks: int = 4, group: int = 3,
-    s: int = 50, switch: str = "size", threshold: float | None = None, order: str = "heavy", share: bool = True, overlap: bool = True, root: int | None = None,
+    graph: EdgeGraph, template: TreeTemplate, coloring: DataFrame, mode: str = "bulk", blocks: int = 4, group: int = 3, s: int = 50, switch: str = "size", threshold: float | None = None,
+    order: str = "heavy", share: bool = True, overlap: bool = True, root: int | None = None, count_type: str = "long", combine_by: str = "auto",
 ) -> DataFrame:
-    """(it, v, mask, cnt) of the whole template at its root."""
+    """(it, v, mask, cnt) of the whole template at its root.
+
+    The edges, the colouring and every sub-template that several steps read are written once: no step
+    works out the graph or a shared table anew.
+    """
     if mode not in MODES:
         raise ValueError(f"mode is one of {', '.join(MODES)}")
     plan = split_plan(template, root, order, share)
-    leaf = init_counts(coloring)
-    table: dict[Shape, DataFrame] = {(): leaf}
     k = template.k
-    tasks = split_neighbor_lists(graph.edges, s, exact=False) if mode == "adaptive_split" else None
+    edges = stored(graph).edges if len(plan.steps) > 1 else graph.edges
+    leaf = init_counts(written(coloring, "colors") if len(plan.steps) > 1 else coloring, count_type)
+    table: dict[Shape, DataFrame] = {(): leaf}
+    tasks = split_neighbor_lists(edges, s, exact=False) if mode == "adaptive_split" else None
+    if tasks is not None and len(plan.steps) > 1:
+        tasks = written(tasks, "tasks")
     sums: dict[Shape, DataFrame] = {}
     for n, step in enumerate(plan.steps):
         keep, cut = table[step.keep], table[step.cut]
+        later = plan.steps[n + 1 :]
         if mode == "edgewise":
-            out = extend_edgewise(keep, cut, graph.edges, step.d)
+            out = extend_edgewise(keep, cut, edges, step.d)
         else:
             if step.cut not in sums:
-                large = mode == "staged" or (mode.startswith("adaptive") and is_large(step, k, switch, threshold))
-                if large:
-                    x = sums_staged(cut, graph.edges, blocks, group, overlap)
+                if mode == "staged" or (mode.startswith("adaptive") and is_large(step, template, switch, threshold)):
+                    x = sums_staged(cut, edges if tasks is None else tasks, blocks, group, overlap)
                 elif mode == "adaptive_split":
                     x = sums_split(cut, tasks)
                 elif mode == "local_remote":
-                    x = sums_local_remote(cut, graph.edges, blocks)
+                    x = sums_local_remote(cut, edges, blocks)
+                elif mode == "static_slots":
+                    x = sums_static(cut, edges, blocks)
                 elif mode == "resident_bulk":
                     # all received counts are held, one row an edge, before anything is summed
                     c = cut.select("it", F.col("v").alias("dst"), "mask", "cnt")
-                    held = graph.edges.join(c, "dst").persist()
-                    x = held.groupBy("it", F.col("src").alias("v"), "mask").agg(F.sum("cnt").alias("n"))
+                    held = edges.join(c, "dst").persist()
+                    x = written(held.groupBy("it", F.col("src").alias("v"), "mask").agg(_total(F.col("cnt"), cut, "cnt").alias("n")), "sums")
+                    held.unpersist()
                 else:
-                    x = sums_bulk(cut, graph.edges)
-                sums[step.cut] = x
-            out = combine(keep, sums[step.cut], step.d)
-        if mode in ("disk_staged", "staged") and n + 1 < len(plan.steps):
+                    x = sums_bulk(cut, edges)
+                sums[step.cut] = written(x, "sums") if mode != "resident_bulk" and any(y.cut == step.cut for y in later) else x
+            out = combined(keep, sums[step.cut], step, k, combine_by)
+        uses = sum((y.keep == step.whole) + (y.cut == step.whole) for y in later)
+        if uses > 1 or (later and mode in ("disk_staged", "staged")):
             out = written(out, "counts")
         table[step.whole] = out
     return table[plan.top]
 
 
+def sums_static(cut: DataFrame, edges: DataFrame, blocks: int) -> DataFrame:
+    """The all-to-all with a fixed slot for each pair of blocks: as many partitions as blocks, whatever their sizes."""
+    c = cut.select("it", F.col("v").alias("dst"), "mask", "cnt")
+    sent = edges.select("src", "dst").join(c, "dst").withColumn("slot", block_of(F.col("src"), blocks)).repartition(blocks, "slot")
+    return sent.groupBy("it", F.col("src").alias("v"), "mask").agg(_total(F.col("cnt"), cut, "cnt").alias("n"))
+
+
 def replicated_counts(graph: EdgeGraph, template: TreeTemplate, iters: list[int], seed: int = 42, limit: int = 2_000_000) -> DataFrame:
     """(it, colorful): each colouring in one task with the whole graph; refuses graphs that would not fit one."""
     edges = graph.edges
@@ -290,23 +371,33 @@ def replicated_counts(graph: EdgeGraph, template: TreeTemplate, iters: list[int]
     return its.mapInPandas(run, "it int, colorful long")
 
 
-def colorful_count(graph: EdgeGraph, template: TreeTemplate, iters: list[int], seed: int = 42, mode: str = "bulk", scheme: str = "poly", colors: int | None = None, **how) -> DataFrame:
-    """(it, colorful): occurrences whose vertices all differ in colour, for each colouring."""
+def colorful_count(graph: EdgeGraph, template: TreeTemplate, iters: list[int], seed: int = 42, mode: str = "bulk", scheme: str = "poly", colors: int | None = None, count_type: str = "long", **how) -> DataFrame:
+    """(it, colorful): occurrences whose vertices all differ in colour, for each colouring.
+
+    ``colorful`` has the type that ``count_type`` names; ``auto`` picks the narrowest that cannot overflow.
+    """
     spark = graph.edges.sparkSession
     every = spark.createDataFrame([(i,) for i in iters], "it int")
     if mode == "replicated":
         return replicated_counts(graph, template, iters, seed)
+    if count_type == "auto":
+        graph = stored(graph)
+        count_type = count_type_for(graph, template.k)
     coloring = assign_colors(graph.nodes(), template.k, iters, seed, scheme, colors)
-    counts = rooted_counts(graph, template, coloring, mode, **how)
+    counts = rooted_counts(graph, template, coloring, mode, count_type=count_type, **how)
     orbit = split_plan(template, how.get("root"), how.get("order", "heavy")).root_orbit
-    total = counts.where(F.expr(f"bit_count(mask) = {template.k}")).groupBy("it").agg(F.sum("cnt").alias("c"))
-    return every.join(total, "it", "left").select("it", F.expr(f"coalesce(c, 0) div {orbit}").cast("long").alias("colorful"))
+    kind = COUNT_TYPES[count_type]
+    total = counts.where(F.expr(f"bit_count(mask) = {template.k}")).groupBy("it").agg(F.sum("cnt").cast(kind).alias("c"))
+    whole = F.coalesce("c", F.lit(0).cast(kind))
+    whole = whole if orbit == 1 else F.expr(f"coalesce(c, 0) div {orbit}") if count_type == "long" else whole / orbit
+    return every.join(total, "it", "left").select("it", whole.cast(kind).alias("colorful"))
 
 
 def per_vertex_counts(graph: EdgeGraph, template: TreeTemplate, iters: list[int], seed: int = 42, mode: str = "bulk", **how) -> DataFrame:
     """(it, v, cnt): colourful occurrences with the template's root at each vertex."""
     coloring = assign_colors(graph.nodes(), template.k, iters, seed)
-    return rooted_counts(graph, template, coloring, mode, **how).groupBy("it", "v").agg(F.sum("cnt").cast("long").alias("cnt"))
+    counts = rooted_counts(graph, template, coloring, mode, **how)
+    return counts.groupBy("it", "v").agg(_total(F.col("cnt"), counts, "cnt").alias("cnt"))
 
 
 # -- estimates ----------------------------------------------------------------------------------
@@ -329,7 +420,7 @@ def median_of_means(estimates: DataFrame, t: int) -> DataFrame:
 def estimate_tree_count(graph: EdgeGraph, template: TreeTemplate, eps: float = 0.5, delta: float = 0.1, seed: int = 42, mode: str = "bulk", const: float = 1.0, cap: int | None = None, batch: int = 16, **how) -> DataFrame:
     """(estimate, lo, hi, n_iter, t): within eps of the count with probability 1 - delta (without a cap on the colourings)."""
     n, t = n_colorings(template.k, eps, delta, const, cap)
-    parts = []
+    graph, parts = stored(graph), []
     for lo in range(1, n + 1, batch):
         x = unbias(colorful_count(graph, template, list(range(lo, min(lo + batch, n + 1))), seed, mode, **how), template.k)
         parts.append(written(x, "estimates") if n > batch else x)
@@ -346,6 +437,7 @@ def estimator_spread(estimates: DataFrame) -> DataFrame:
 def tree_exists(graph: EdgeGraph, template: TreeTemplate, fail: float = 0.01, seed: int = 42, batch: int = 8) -> bool:
     """Whether the template occurs; never a false yes, a false no with probability ``fail`` at most."""
     n = max(1, math.ceil(math.log(1 / fail) * scale_up(template.k)))
+    graph = stored(graph)
     for lo in range(1, n + 1, batch):
         its = list(range(lo, min(lo + batch, n + 1)))
         counts = rooted_counts(graph, template, assign_colors(graph.nodes(), template.k, its, seed))
@@ -358,7 +450,7 @@ def tree_frequencies(graph: EdgeGraph, templates: dict[str, TreeTemplate], eps:
     """(template, estimate, share): all estimates within eps with probability 1 - delta, and each one's share of them all."""
     from pyspark.sql import Window
 
-    out = None
+    graph, out = stored(graph), None
     for name, t in templates.items():
         x = estimate_tree_count(graph, t, eps, delta / len(templates), seed).select(F.lit(name).alias("template"), "estimate")
         out = x if out is None else out.unionByName(x)
@@ -375,21 +467,56 @@ def frequent_trees(graph: EdgeGraph, k: int, least: float, eps: float = 0.5, del
 
 
 def sample_embeddings(graph: EdgeGraph, template: TreeTemplate, n: int, seed: int = 42, it: int = 1) -> DataFrame:
-    """(v0.., v_{k-1}): up to n colourful occurrences, grown from the roots of least hash.
+    """(v0.., v_{k-1}): n colourful occurrences, or all where there are fewer, down the tables of the dynamic program.
 
-    Each template edge is one join; after each, only the n partial occurrences of least hash for each
-    root survive, so a step holds at most n * n rows.
+    Vertices are numbered as the walk meets them (`walk_parents` gives the template edges).  Every partial
+    occurrence has a non-zero count, so each can be completed; the n of least hash go on after each step.
     """
     from pyspark.sql import Window
 
-    color = assign_colors(graph.nodes(), template.k, [it], seed).select("v", "mask")
-    counts = rooted_counts(graph, template, assign_colors(graph.nodes(), template.k, [it], seed))
-    root = counts.where(F.col("cnt") > 0).select("v").orderBy(F.xxhash64("v", F.lit(seed)), "v").limit(n)
-    part = root.join(color, "v").select(F.col("v").alias("v0"), F.col("mask").alias("used"))
-    for p, i in template.edges:
-        e = graph.edges.select(F.col("src").alias(f"v{p}"), F.col("dst").alias(f"v{i}"))
-        part = part.join(e, f"v{p}").join(color.select(F.col("v").alias(f"v{i}"), "mask"), f"v{i}").where("(used & mask) = 0")
-        part = part.withColumn("used", F.expr("used | mask")).drop("mask")
-        place = Window.partitionBy("v0").orderBy(F.xxhash64(f"v{i}", F.lit(seed)), f"v{i}")
-        part = part.withColumn("_n", F.row_number().over(place)).where(F.col("_n") <= n).drop("_n")
-    return part.select(*[f"v{i}" for i in range(template.k)]).orderBy(F.xxhash64(*[F.col(f"v{i}") for i in range(template.k)])).limit(n)
+    spark = graph.edges.sparkSession
+    plan = split_plan(template)
+    graph = stored(graph)
+    edges, nodes = graph.edges, graph.nodes()
+    leaf = init_counts(assign_colors(nodes, template.k, [it], seed))
+    table: dict[Shape, DataFrame] = {(): written(leaf.select("v", "mask", "cnt"), "counts")}
+    for step in plan.steps:
+        keep, cut = (table[x].withColumn("it", F.lit(it)) for x in (step.keep, step.cut))
+        table[step.whole] = written(combined(keep, neighbor_sums(cut, edges), step, template.k).select("v", "mask", "cnt"), "counts")
+    by_whole = {x.whole: x for x in plan.steps}
+    part = table[plan.top].where("cnt > 0").select(F.col("v").alias("x0"), F.col("mask").alias("m0"))
+    todo, placed, number = [(plan.top, 0)], [], 1
+    while todo:
+        shape, at = todo.pop()
+        if shape == ():
+            placed.append(at)
+            continue
+        step = by_whole[shape]
+        old = part.columns
+        part = part.join(table[step.keep].where("cnt > 0").select(F.col("v").alias(f"x{at}"), F.col("mask").alias("part")), f"x{at}").where(f"(part & ~m{at}) = 0")
+        part = part.withColumn("rest", F.expr(f"m{at} & ~part")).join(edges.select(F.col("src").alias(f"x{at}"), F.col("dst").alias("u")), f"x{at}")
+        part = part.join(table[step.cut].where("cnt > 0").select(F.col("v").alias("u"), F.col("mask").alias("rest")), ["u", "rest"])
+        part = part.select(*[c for c in old if c != f"m{at}"], F.col("part").alias(f"m{at}"), F.col("u").alias(f"x{number}"), F.col("rest").alias(f"m{number}"))
+        xs = [c for c in part.columns if c[0] == "x"]
+        part = written(part.orderBy(F.xxhash64(*sorted(xs), F.lit(seed)), *sorted(part.columns)).limit(n), "embeddings")  # the n of least hash
+        todo += [(step.cut, number), (step.keep, at)]
+        number += 1
+    return part.select(*[F.col(f"x{at}").alias(f"v{i}") for i, at in enumerate(placed)]).distinct()
+
+
+def walk_parents(template: TreeTemplate) -> list[int]:
+    """Parent of each column of `sample_embeddings`; -1 for the first."""
+    plan = split_plan(template)
+    by_whole = {x.whole: x for x in plan.steps}
+    todo, placed, parent, number = [(plan.top, 0)], [], {0: -1}, 1
+    while todo:
+        shape, at = todo.pop()
+        if shape == ():
+            placed.append(at)
+            continue
+        step = by_whole[shape]
+        parent[number] = at
+        todo += [(step.cut, number), (step.keep, at)]
+        number += 1
+    place = {at: i for i, at in enumerate(placed)}
+    return [place.get(parent[at], -1) for at in placed]

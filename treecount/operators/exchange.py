@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.templates import SplitPlan
+from ..sources.graphs import EdgeGraph
 
 _LOCAL: dict[str, str] = {}
 
@@ -41,6 +42,13 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def stored(graph: EdgeGraph) -> EdgeGraph:
+    """The graph with its edges in a table, so that what reads them several times does not work them out anew."""
+    if getattr(graph.edges, "_store_path", None):
+        return graph
+    return EdgeGraph(written(graph.edges, "edges"), graph.vertices)
+
+
 def forget(df: DataFrame) -> None:
     """Delete a table made by `written` that nothing reads any more."""
     path = getattr(df, "_store_path", None)
@@ -90,9 +98,11 @@ def messages(counts: DataFrame, requests: DataFrame) -> DataFrame:
 
 
 def pack_tag(sender: Column, receiver: Column, offset: Column, bits: tuple[int, int, int] = (10, 10, 12)) -> Column:
-    """One 32-bit integer of sender, receiver and queue offset."""
-    _, b, c = bits
-    return F.shiftleft(sender.cast("int"), b + c).bitwiseOR(F.shiftleft(receiver.cast("int"), c)).bitwiseOR(offset.cast("int"))
+    """One 32-bit integer of sender, receiver and queue offset; a number that does not fit its bits raises an error."""
+    a, b, c = bits
+    fits = (sender >= 0) & (sender < 1 << a) & (receiver >= 0) & (receiver < 1 << b) & (offset >= 0) & (offset < 1 << c)
+    tag = F.shiftleft(sender.cast("int"), b + c).bitwiseOR(F.shiftleft(receiver.cast("int"), c)).bitwiseOR(offset.cast("int"))
+    return F.when(fits, tag).otherwise(F.raise_error(F.lit("a part of the tag is too large")).cast("int"))
 
 
 def unpack_tag(tag: Column, bits: tuple[int, int, int] = (10, 10, 12)) -> tuple[Column, Column, Column]:

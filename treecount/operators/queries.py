@@ -187,12 +187,27 @@ for _n in ("u5-2", "fork5", "star5"):
 register("colorful_u7_2_cust_part", subset_sql("cust_part", TreeTemplate.named("u7-2"), [1]))(_count("cust_part", "u7-2", [1]))
 for _n in ("u10-2", "u12-1", "u12-2"):
     register(f"colorful_{_n.replace('-', '_')}_page_link", subset_sql("page_link", TreeTemplate.named(_n), [1]))(_count("page_link", _n, [1]))
-for _n, _golden in (("u13", 31127), ("u14", 76605), ("u15-1", 519070), ("u15-2", 113979)):
-    register(f"colorful_{_n.replace('-', '_')}_page_link", f"SELECT 1::INT AS it, {_golden}::BIGINT AS colorful")(_count("page_link", _n, [1]))
+for _n in ("u13", "u14", "u15-1", "u15-2"):
+    register(f"colorful_{_n.replace('-', '_')}_page_link", subset_sql("page_link", TreeTemplate.named(_n), [1]))(_count("page_link", _n, [1]))
+
+
+def _wide(template):
+    t = TreeTemplate.named(template)
+    return lambda spark, d: C.colorful_count(G.graph(spark, d, "part_supplier"), t, [1], SEED, count_type="decimal").select("it", F.col("colorful").cast("string").alias("colorful"))
+
+
+# counts beyond 64 bits
+register("colorful_u10_2_part_supplier", subset_sql("part_supplier", TreeTemplate.named("u10-2"), [1]).replace("::BIGINT AS colorful", "::VARCHAR AS colorful"))(_wide("u10-2"))
+register("colorful_star7_hub", subset_sql("hub", TreeTemplate.star(7), [1]).replace("::BIGINT AS colorful", "::VARCHAR AS colorful"))(
+    lambda spark, d: C.colorful_count(G.graph(spark, d, "hub"), TreeTemplate.star(7), [1], SEED, mode="adaptive_split", count_type="auto").select("it", F.col("colorful").cast("string").alias("colorful")))
+for _n in ("u5-2", "u7-2"):
+    register(f"adaptive_split_{_n.replace('-', '_')}_hub", subset_sql("hub", TreeTemplate.named(_n), [1]).replace("::BIGINT AS colorful", "::VARCHAR AS colorful"))(
+        lambda spark, d, n=_n: C.colorful_count(G.graph(spark, d, "hub"), TreeTemplate.named(n), [1], SEED, mode="adaptive_split", count_type="decimal").select("it", F.col("colorful").cast("string").alias("colorful")))
 
-_modes = {"bulk_u5_2": {}, "staged_u5_2_p5": {"mode": "staged", "blocks": 5}, "staged_g5_u5_2": {"mode": "staged", "blocks": 5, "group": 5}, "adaptive_u5_2": {"mode": "adaptive", "threshold": 4}, "adaptive_split_u5_2": {"mode": "adaptive_split", "threshold": 5}, "disk_staged_u5_2": {"mode": "disk_staged"}, "resident_bulk_u5_2": {"mode": "resident_bulk"}, "replicated_u5_2": {"mode": "replicated"}, "local_remote_u5_2": {"mode": "local_remote"}, "edgewise_u5_2": {"mode": "edgewise"}}
+_modes = {"bulk_u5_2": {}, "staged_u5_2_p5": {"mode": "staged", "blocks": 5}, "staged_g5_u5_2": {"mode": "staged", "blocks": 5, "group": 5}, "adaptive_u5_2": {"mode": "adaptive", "threshold": 4}, "adaptive_split_u5_2": {"mode": "adaptive_split"}, "adaptive_split_staged_u5_2": {"mode": "adaptive_split", "threshold": 4}, "static_slots_u5_2": {"mode": "static_slots", "blocks": 5}, "staged_no_overlap_u5_2": {"mode": "staged", "overlap": False}, "best_order_u5_2": {"order": "best"}, "table_combine_u5_2": {"combine_by": "table"}, "packed_combine_u5_2": {"combine_by": "packed"}, "double_counts_u5_2": {"count_type": "double"}, "disk_staged_u5_2": {"mode": "disk_staged"}, "resident_bulk_u5_2": {"mode": "resident_bulk"}, "replicated_u5_2": {"mode": "replicated"}, "local_remote_u5_2": {"mode": "local_remote"}, "edgewise_u5_2": {"mode": "edgewise"}}
 for _q, _how in _modes.items():
-    register(_q, colorful_sql("page_link", TreeTemplate.named("u5-2"), [1, 2]))(_count("page_link", "u5-2", [1, 2], **_how))
+    _sql = colorful_sql("page_link", TreeTemplate.named("u5-2"), [1, 2])
+    register(_q, f"SELECT it, colorful::DOUBLE AS colorful FROM ({_sql})" if "count_type" in _how else _sql)(_count("page_link", "u5-2", [1, 2], **_how))
 
 
 @register("signed_subset_u5_2", colorful_sql("page_link", TreeTemplate.named("u5-2"), [1]))
@@ -239,7 +254,21 @@ register("per_vertex_counts_star4", f"WITH {graph_sql('page_link')}, {color_sql(
     lambda spark, d: C.per_vertex_counts(G.graph(spark, d, "page_link"), TreeTemplate.named("star4"), [1]))
 register("tree_frequencies_k4")(lambda spark, d: C.tree_frequencies(G.graph(spark, d, "page_link"), {"path4": TreeTemplate.named("path4"), "star4": TreeTemplate.named("star4")}, 0.5, 0.1))
 register("frequent_trees_k5")(lambda spark, d: C.frequent_trees(G.graph(spark, d, "page_link"), 5, 1000.0, 0.5, 0.1))
-register("sample_embeddings")(lambda spark, d: C.sample_embeddings(G.graph(spark, d, "page_link"), TreeTemplate.named("u5-2"), 50))
+@register("sample_embeddings", f"WITH {graph_sql('page_link')}, {color_sql(5, [1])}, n AS ({joins_sql(TreeTemplate.named('u5-2'), [1])}) SELECT least(50, 2 * n)::BIGINT AS n, least(50, 2 * n)::BIGINT AS sound FROM n")
+def sample_embeddings(spark, d):
+    """How many were drawn (a path read from either end), and how many of them are colourful paths of the graph."""
+    g = G.graph(spark, d, "page_link")
+    col = C.assign_colors(g.nodes(), 5, [1], SEED).select("v", "mask")
+    x = C.sample_embeddings(g, TreeTemplate.named("u5-2"), 50)
+    n = x.agg(F.count("*").alias("n"))
+    for i, p in enumerate(C.walk_parents(TreeTemplate.named("u5-2"))):
+        x = x.join(col.select(F.col("v").alias(f"v{i}"), F.col("mask").alias(f"m{i}")), f"v{i}")
+        if p >= 0:
+            x = x.join(g.edges.select(F.col("src").alias(f"v{p}"), F.col("dst").alias(f"v{i}")), [f"v{p}", f"v{i}"], "left_semi")
+    sound = x.where(F.expr("m0 | m1 | m2 | m3 | m4") == 31).agg(F.count("*").alias("sound"))
+    return n.join(sound, F.lit(True))
+
+
 register("estimate_tree_count_u3_1")(lambda spark, d: C.estimate_tree_count(G.graph(spark, d, "page_link"), TreeTemplate.named("u3-1"), 0.5, 0.1))
 
 
@@ -268,7 +297,7 @@ _blk = lambda v: f"(({v} % 2147483647 * 48271 + 11) % 2147483647 % 5)::INT"  # n
 register("requests_p5", f"WITH {graph_sql('part_supplier')} SELECT DISTINCT dst AS u, {_blk('src')} AS to_blk FROM e WHERE {_blk('src')} <> {_blk('dst')}")(lambda spark, d: E.build_requests(G.graph(spark, d, "part_supplier").edges, 5))
 register("remote_neighbors_per_step", f"WITH {graph_sql('part_supplier')} SELECT {_blk('src')} AS blk, (({_blk('src')} - {_blk('dst')} + 5) % 5)::INT AS step, count(*) AS n FROM e WHERE {_blk('src')} <> {_blk('dst')} GROUP BY 1, 2")(
     lambda spark, d: E.remote_neighbors(G.graph(spark, d, "part_supplier").edges, 5))
-register("exchange_volume_u5_2")(lambda spark, d: E.exchange_volume(G.graph(spark, d, "part_supplier").edges, 5, T.split_plan(TreeTemplate.named("u5-2"))))
+register("exchange_volume_u5_2")(lambda spark, d: E.exchange_volume(G.graph(spark, d, "part_supplier").edges, 5, T.split_plan(TreeTemplate.named("u5-2"))).drop("vertices"))
 
 
 @register("packet_tags", "SELECT s::INT AS s, r::INT AS r, o::INT AS o, ((s << 22) + (r << 12) + o)::BIGINT AS tag FROM (SELECT i % 300 AS s, i % 17 AS r, i % 4096 AS o FROM (SELECT unnest(range(5000)) AS i))")
@@ -298,13 +327,5 @@ def task_size_sweep(spark, d):
     return out
 
 
-def _model(spark):
-    return M.model_steps(spark, TreeTemplate.named("u5-2"), 1000, 100_000, 5)
-
-
-register("model_steps")(lambda spark, d: _model(spark))
-register("model_rho")(lambda spark, d: M.with_overlap(_model(spark)))
-register("model_totals")(lambda spark, d: M.totals(_model(spark)))
-register("model_large_comm")(lambda spark, d: M.large_template_comm(spark, TreeTemplate.named("u12-2"), 1_000_000, [4, 8, 16, 25]))
 register("math_binomials", f"SELECT n::INT AS n, r::INT AS r, {_binomial_sql('n', 'r')}::BIGINT AS c FROM (SELECT unnest(range(16)) AS n), (SELECT unnest(range(16)) AS r) WHERE r <= n")(
     lambda spark, d: spark.range(16).select(F.col("id").cast("int").alias("n"), F.explode(F.sequence(F.lit(0), F.col("id").cast("int"))).alias("r")).select("n", "r", F.expr("cast(factorial(n) div factorial(r) div factorial(n - r) as bigint)").alias("c")))

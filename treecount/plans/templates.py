@@ -144,16 +144,12 @@ class SplitStep:
 
 def _split(shape: Shape, order: str) -> SplitStep:
     # the branches of a canonical shape are sorted by size, then form
-    at = {"heavy": len(shape) - 1, "light": 0, "declared": len(shape) - 1}[order]
+    at = {"heavy": len(shape) - 1, "light": 0}[order]
     cut = shape[at]
     keep = shape[:at] + shape[at + 1 :]
     return SplitStep(shape, keep, cut, shape.count(cut))
 
 
-def _work(shape: Shape, order: str) -> int:
-    return sum(math.comb(16, t) * math.comb(t, a) for t, a, _ in (s.sizes for s in _steps(shape, order, False)))
-
-
 def _steps(shape: Shape, order: str, share: bool) -> list[SplitStep]:
     out: list[SplitStep] = []
 
