@@ -1,14 +1,17 @@
 """Fuzzy components against all pairs, and the odd cases of every operator and pipeline stage."""
 
+import hashlib
 import re
+from collections import Counter
 from itertools import combinations
 
 import numpy as np
 import pytest
+import regex
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from treecount.llm import linededup, neardup, quality, queries
+from treecount.llm import bytebpe, fingerprints, linededup, neardup, quality, queries, warc
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 CLASH = ["_t", "_l", "_h", "n_words", "fail_bits", "_drop", "gone", "own", "row", "n_removed", "_email", "_terms", "_risky", "_gone", "_id", "ids", "k", "h", "id", "rep", "a.b"]
@@ -118,6 +121,46 @@ def test_ablation(spark):
         assert (r.n_docs, r.n_failed, r.n_only, r.n_rejected) == (9, sum(b & bit > 0 for b in bits), sum(b & policy.mask == bit for b in bits), sum(b & policy.mask > 0 for b in bits))
 
 
+def test_likeness_follows_the_true_similarity(spark):
+    rng = np.random.default_rng(6)
+    words = lambda: Counter(f"w{int(x)}" for x in rng.integers(0, 80, 150))
+    text = lambda c: " ".join(w for w, n in c.items() for _ in range(n))
+    counts = [words()]
+    for _ in range(60):  # each shares a part with the one before
+        cut = int(rng.integers(20, 150))
+        kept = list(counts[-1].elements())
+        rng.shuffle(kept)
+        counts.append(Counter(kept[:cut]) + Counter(list(words().elements())[cut:]))
+    docs = spark.createDataFrame([(i, text(c)) for i, c in enumerate(counts)], "doc_id long, text string")
+    true = lambda a, b: sum((a & b).values()) / sum((a | b).values())
+    for samples, off in ((fingerprints.SAMPLES, 0.075), (512, 0.02)):
+        got = {r.doc_id: r for r in fingerprints.compare_with_next(docs, samples).collect()}
+        errors = []
+        for i, c in enumerate(counts):
+            following = counts[i - 1]
+            errors.append(got[i].near_next - true(c, following))
+            n = len(text(c))
+            k = n // 3
+            edited = Counter((text(c)[: n - k] + text(following)[:k]).split())
+            errors.append(got[i].near_edited - true(c, edited))
+        assert abs(np.mean(errors)) < off / 3 and np.sqrt(np.mean(np.square(errors))) < off + 0.02, samples
+
+
+def test_damaged_records_are_noticed():
+    raw = warc.encode_record(1, "http://a", b"payload" * 200, hashlib.sha1(b"payload" * 200).hexdigest(), None)
+    assert warc.decode_record(raw)[0]["payload"] == b"payload" * 200
+    with pytest.raises(ValueError):
+        warc.decode_record(raw.replace(b"payloadpayload", b"payloadpayloaD", 1))
+
+
+def test_any_pattern_is_cut_as_it_says():
+    pattern = r"[a-z]+ [a-z]+|."
+    ours, plain = bytebpe.Codec(bytebpe.multi_ranks(), pattern), bytebpe.Codec(bytebpe.multi_ranks(), pattern)
+    text = "one two three four.\nfive six"
+    known = {t: plain.merge([t.encode()])[0] for t in regex.findall(pattern, text)}
+    assert ours.encode([text]) == [b"".join(known[t] for t in regex.findall(pattern, text))]
+
+
 # -- odd tables -----------------------------------------------------------------------------------
 
 ODD = [

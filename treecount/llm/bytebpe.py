@@ -6,12 +6,14 @@ equals) by a lookup in an open-addressing table of pairs, merges it and closes t
 a pair leave.  A batch therefore takes as many rounds as its longest pre-token has merges, whatever
 its number of rows.  Pre-tokens longer than ``LONG`` bytes are merged alone by a heap.
 
-Texts are cut with the pattern of the vocabulary.  Between two other characters a single space or line
+Texts are cut with the pattern of the vocabulary.  With the default pattern, between two other characters a single space or line
 break always begins a match, so such texts are cut there first and the ids of each chunk are kept in a
 bounded memo.
 
 Defined cases: null texts are empty; empty texts have no ids; lone surrogates cannot occur in a Spark
-string; repeated rows are encoded each; an empty table gives an empty result.
+string; repeated rows and rows that share a doc_id, or have none, are encoded each; pairs of equal rank are
+merged from the left; a very long text is one row of a batch of bounded rows; an empty table gives an empty
+result.  Only doc_id and text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -92,6 +94,7 @@ class Codec:
         with open(path, "rb") as f:
             self.ids = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
         self.find = regex.compile(pattern).findall
+        self.known = pattern == default_pattern()
         self.byte = np.array([self.ids[bytes([i])] for i in range(256)], np.int64)
         pairs = {}
         for token, rank in self.ids.items():
@@ -189,7 +192,9 @@ class Codec:
         return [ids[i] for i in range(n) if alive[i]]
 
     def chunks(self, text: str) -> list[str]:
-        """Parts of a text that the pattern matches independently of each other."""
+        """Parts of a text that the pattern matches independently of each other; the whole text for a pattern we know nothing about."""
+        if not self.known:
+            return [text]
         if "\0" in text or "  " in text or " \n" in text or "\n " in text or "\n\n" in text or text[:1].isspace() or text[-1:].isspace() or not _OTHER_SPACE.isdisjoint(text):
             return [text] if len(text) <= LONG else self.find(text)
         return text.replace(" ", "\0 ").replace("\n", "\0\n\0").split("\0")

@@ -11,8 +11,10 @@ Pieces learn their place without meeting: a task numbers its remainders of each
 over tasks turn this into a rank, and a binary search in the plan turns length and rank into window
 and offset.
 
-Defined cases: null and empty texts are the end id alone; repeated rows are packed each; an empty
-table gives no piece.  Windows that are not full are padded by the reader; `padding` counts it.
+Defined cases: null and empty texts are the end id alone; repeated rows and rows that share a doc_id, or
+have none, are packed each; pieces of equal length are alike, so ties change nothing; a very long text is cut
+into as many windows as it fills; an empty table gives no piece.  Only doc_id and text are read, so other
+columns may have any name.  Windows that are not full are padded by the reader; `padding` counts it.
 """
 
 from __future__ import annotations

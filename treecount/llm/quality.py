@@ -5,8 +5,10 @@ rule, so that a policy (a named, versioned set of rules that reject) is a mask t
 is one bitwise aggregation, without touching the texts again.
 
 Defined cases: a null text counts as no text; a text without words has zero measurements and fails
-``few_words``; repeated rows are judged one by one; an empty table gives an empty ledger; columns of
-the input whose names clash with ledger columns are ignored.
+``few_words``; repeated rows, and rows that share a doc_id or have none, are judged one by one; windows of
+equal words count as one whatever their order; a very long text is measured whole; an empty table gives an
+empty ledger.  The ledger has the columns named in ``keep`` and its own; a kept column must not have a
+ledger column's name, so callers put rows with any other columns into a struct, as the pipeline does.
 """
 
 from __future__ import annotations

@@ -6,12 +6,13 @@ bounded memo of two generations; a new word of letters goes to the library's mod
 to the whole library.
 
 The file format is flat: ``<name>.ids`` holds unsigned little-endian ids without separators, 16 bits
-wide where the vocabulary allows and else 32; ``<name>.off`` holds unsigned 64-bit offsets, one for
-each document and the end.  Both can be memory-mapped.  A file covers a range of ascending doc_ids;
+wide where the vocabulary allows and else 32; ``<name>.off`` holds three unsigned 64-bit numbers
+for each document, its id, whether it has one, and the offset of its first id, and a last triple for the end.  Both can be memory-mapped.  A file covers a range of ascending doc_ids;
 the base of each file is the prefix sum of the files before it.
 
 Defined cases: null and empty texts are the end id alone; equal doc_ids follow each other in the order
-of their text's hash; rows without a doc_id come first; an empty table gives no file and no row.  Files
+of their text's hash; rows without a doc_id come first; a very long text is one row of a batch of bounded
+rows; an empty table gives no file and no row; only doc_id and text are read, so other columns may have any name.  Files
 of failed task attempts are never named in the manifest.
 """
 

@@ -8,13 +8,19 @@ bundle, frame, and offset in the decompressed frame.
 Payloads that repeat are written once: among equal payloads of at least ``min_bytes``, the record of
 the largest page id is the response, the others are revisits that refer to it.
 
+Reading recomputes the digest and the length of every payload; a record that differs from its headers
+raises an error.
+
 Defined cases: null html is an empty payload; null urls give an empty target; records that share a
-page id are all written; an empty table gives no bundle.  A file name holds a random attempt mark and
+page id, or have none, are all written, and of equal payloads with equal page ids one is the response; a very
+long payload is a frame of its own; an empty table gives no bundle.  Only page_id, url and html are read, so
+other columns may have any name.  A file name holds a random attempt mark and
 only files named in the committed index count, so a repeated task attempt cannot double a record.
 """
 
 from __future__ import annotations
 
+import hashlib
 import struct
 import uuid
 from collections.abc import Iterator
@@ -81,10 +87,13 @@ def decode_record(raw: bytes, at: int = 0) -> tuple[dict, int]:
     http = dict(x.split(": ", 1) for x in body[:cut].decode().split("\r\n")[1:])
     number = lambda x: int(x) if x else None
     kind = head["WARC-Type"]
+    payload = body[cut + 4 :]
+    if kind == "response" and (len(payload) != int(http["Content-Length"]) or hashlib.sha1(payload).hexdigest() != head["WARC-Payload-Digest"].removeprefix("sha1:")):
+        raise ValueError(f"the payload of page {head['Page-ID']} is not the one that was written")
     return {
         "page_id": number(head["Page-ID"]), "url": head["WARC-Target-URI"], "payload_bytes": int(http["Content-Length"]),
         "payload_digest": head["WARC-Payload-Digest"].removeprefix("sha1:"), "record_type": kind,
-        "refers_to": number(head.get("Refers-To-Page-ID", "")), "payload": body[cut + 4 :] if kind == "response" else None,
+        "refers_to": number(head.get("Refers-To-Page-ID", "")), "payload": payload if kind == "response" else None,
     }, end + 4 + int(head["Content-Length"]) + 4
 
 
