@@ -49,10 +49,16 @@ BLOCK = 512
 REPLICA = 16_000_000
 
 
-def vocabulary(docs: DataFrame, top: int = TOP) -> list[str]:
-    """The most frequent lower-cased words of all documents; ties in word order."""
+def word_counts(docs: DataFrame) -> DataFrame:
+    """(w, count) of all lower-cased words of all documents, as a table."""
     w = docs.select(F.explode(words(F.lower(F.coalesce(F.col("text"), F.lit(""))))).alias("w"))
-    return [r["w"] for r in w.groupBy("w").count().orderBy(F.desc("count"), "w").limit(top).collect()]
+    return written(w.groupBy("w").count(), "word-counts")
+
+
+def vocabulary(docs: DataFrame, top: int = TOP, counts: DataFrame | None = None) -> list[str]:
+    """The most frequent lower-cased words of all documents; ties in word order."""
+    counts = word_counts(docs) if counts is None else counts
+    return [r["w"] for r in counts.orderBy(F.desc("count"), "w").limit(top).collect()]
 
 
 class Net:
@@ -271,12 +277,12 @@ def _class_scores(docs: DataFrame, top: list[str], params) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, row long, n_words long, log_likelihood double")
 
 
-def shares(docs: DataFrame, top: list[str]) -> DataFrame:
-    """(row, share): the sum of log P(word | class) over a row's words without a class of their own; docs: (row, text)."""
-    w = docs.select("row", F.explode(words(F.coalesce(F.col("text"), F.lit("")))).alias("w")).where(~F.col("w").isin(top) if top else F.lit(True))
+def shares(docs: DataFrame, top: list[str], counts: DataFrame) -> DataFrame:
+    """(row, share): the sum of log P(word | class) over a row's words without a class of their own; docs: (row, text), counts of `word_counts`."""
+    rare = ~F.col("w").isin(top) if top else F.lit(True)
+    w = docs.select("row", F.explode(words(F.coalesce(F.col("text"), F.lit("")))).alias("w")).where(rare)
     ending = F.substring(F.encode(F.btrim("w", F.lit(".,;:!?")), "UTF-8"), -4, 4)
-    n = w.groupBy("w").count().select(F.xxhash64("w").alias("h"), F.pmod(F.crc32(ending), F.lit(SHARED)).alias("c"), "count")
-    n = written(n, "word-counts")
+    n = counts.where(rare).select(F.xxhash64("w").alias("h"), F.pmod(F.crc32(ending), F.lit(SHARED)).alias("c"), "count")
     size = n.groupBy("c").agg(F.sum("count").alias("size"))
     n = n.join(F.broadcast(size), "c").select("h", F.log(F.col("count") / F.col("size")).alias("p"))
     return w.select("row", F.xxhash64("w").alias("h")).join(n, "h").groupBy("row").agg(F.sum("p").alias("share"))
@@ -286,13 +292,14 @@ def score_corpus(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     """Vocabulary, training and scoring over all documents."""
     # lower-cased once, so that counts and classes see the same words
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("text"))
-    top = vocabulary(docs)
+    counts = word_counts(docs)
+    top = vocabulary(docs, counts=counts)
     params = train(docs, top, rounds)
     rows = docs.select("doc_id", F.xxhash64("doc_id", "text").alias("row"), "text")
     out = written(_class_scores(rows, top, Net().params if params is None else params), "class-scores")
     # equal rows add up in the shares, and each has its part
     copies = out.groupBy("row").agg(F.count("*").alias("copies"))
-    part = copies.join(shares(rows, top), "row").select("row", (F.col("share") / F.col("copies")).alias("share"))
+    part = copies.join(shares(rows, top, counts), "row").select("row", (F.col("share") / F.col("copies")).alias("share"))
     out = out.join(part, "row", "left")
     return out.select("doc_id", "n_words", (F.col("log_likelihood") + F.coalesce("share", F.lit(0.0))).alias("log_likelihood"))
 
