@@ -1,6 +1,7 @@
 import itertools
 import math
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -98,8 +99,35 @@ def test_counts_beyond_64_bits(spark):
     # a centre on one side, a leaf of every other colour on the other
     want = sum(side[s][c] * math.prod(side[1 - s][x] for x in range(8) if x != c) for s in (0, 1) for c in range(8))
     assert int(got["decimal"]) == want == int(got["auto"]) and got["double"] == pytest.approx(want, rel=1e-9)
-    with pytest.raises(Exception, match="overflow|OVERFLOW|out of range"):
-        C.colorful_count(E.EdgeGraph(g.edges), TreeTemplate.star(9), [1]).collect()
+    big = spark.createDataFrame([(1, 2, 1, 2**62), (1, 3, 1, 2**62)], "it int, v long, mask int, cnt long")
+    with pytest.raises(Exception, match="OVERFLOW"):
+        C.neighbor_sums(big, spark.createDataFrame([(1, 2), (1, 3)], "src long, dst long")).collect()
+
+
+@pytest.mark.parametrize("name", ["u13", "u14", "u15-1", "u15-2"])
+def test_largest_templates_equal_the_signed_sum(spark, name):
+    rng, t = np.random.default_rng(8), TreeTemplate.named(name)
+    pairs = [(i, (i + j) % 26) for i in range(26) for j in (1, 2)] + [tuple(map(int, rng.choice(26, 2, False))) for _ in range(12)]
+    g = graph(spark, pairs)
+    near = np.zeros((26, 26), np.int64)
+    for a, b in pairs:
+        near[a, b] = near[b, a] = 1
+    color = {v: 1 << v * 7 % t.k for v in range(26)}
+    subsets = np.arange(1 << t.k)
+    base = np.stack([(subsets & color[v]) > 0 for v in range(26)], 1).astype(np.int64)
+
+    def maps(node):
+        out = base
+        for p, child in t.edges:
+            if p == node:
+                out = out * (maps(child) @ near)
+        return out
+
+    sign = np.array([(-1) ** (t.k - m.bit_count()) for m in range(1 << t.k)])
+    want = int((maps(0).sum(1) * sign).sum()) // t.automorphisms
+    counts = C.rooted_counts(g, t, spark.createDataFrame([(1, v, m) for v, m in color.items()], "it int, v long, mask int"))
+    full = counts.where(F.expr(f"bit_count(mask) = {t.k}")).agg(F.sum("cnt")).first()[0]
+    assert full // T.split_plan(t).root_orbit == want and want > 0
 
 
 def test_switch_keeps_small_templates_in_one_exchange():
