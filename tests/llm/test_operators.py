@@ -211,7 +211,7 @@ def test_lines_that_differ_by_one_letter_or_by_spaces(spark):
 
 
 def test_scores_predict_the_word_itself(spark):
-    common = " ".join(f"f{i}" for i in range(200))
+    common = " ".join(f"f{i}" for i in range(lmscore.TOP + 9))  # more than have a class of their own
     rows = [(100 + i, common) for i in range(12)] + [(10, "aarest"), (11, "Bbrest")] + [(20 + i, "bbrest") for i in range(3)] + [(30, None), (31, "bbrest bbrest"), (31, "bbrest bbrest")]
     out = lmscore.score_corpus(spark.createDataFrame(rows, "doc_id long, text string")).collect()
     got = {r.doc_id: r.log_likelihood for r in out}
