@@ -229,3 +229,15 @@ def test_estimates_use_all_colourings_of_eps_and_delta(spark, monkeypatch):
     used.clear()
     queries.QUERIES["frequent_trees_k5"](spark, None)
     assert sum(n for k, n in used if k == 5) == 3 * counting.n_colorings(5, 0.5, 0.1 / 3)[0]
+
+
+def test_wide_and_negative_ids(spark):
+    wide = [(16 * i + 13, (i << 57) - 5) for i in range(-8, 8)]
+    star, path = graph(spark, wide), graph(spark, [*wide, (2**62, 2**62 + 2**31 - 1), (2**62 + 2**31 - 1, -7), (-7, 11)])
+    t = TreeTemplate.named("path4")
+    assert not C.tree_exists(star, t, 0.1)
+    # the first two vertices of the only path agree modulo the prime of the polynomial colours
+    assert C.tree_exists(path, t, 0.01)
+    colors = C.assign_colors(star.nodes(), 4, [1]).collect()
+    acc = lambda v: [a := 0, *[a := (a * v + s) % C.PRIME for s in C.coefficients(4, 1, 42)]][-1] % 4
+    assert {r.v: r.mask for r in colors} == {r.v: 1 << acc(r.v) for r in colors}
