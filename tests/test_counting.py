@@ -241,3 +241,33 @@ def test_wide_and_negative_ids(spark):
     colors = C.assign_colors(star.nodes(), 4, [1]).collect()
     acc = lambda v: [a := 0, *[a := (a * v + s) % C.PRIME for s in C.coefficients(4, 1, 42)]][-1] % 4
     assert {r.v: r.mask for r in colors} == {r.v: 1 << acc(r.v) for r in colors}
+
+
+def test_exact_counts_take_decimals_where_64_bits_overflow(spark, monkeypatch):
+    n, t = 600, TreeTemplate.star(10)
+    g = E.stored(EdgeGraph(edges_of(spark.range(n * n).select((F.col("id") % n).alias("a"), (F.floor(F.col("id") / n) + n).alias("b")))))
+    want = [tuple(map(int, r)) for r in C.colorful_count(g, t, [1], count_type="decimal").collect()]
+    assert want[0][1] >= 2**63
+    for limit in (C.LONG_LIMIT, math.inf):
+        monkeypatch.setattr(C, "LONG_LIMIT", limit)
+        out = C.colorful_count(g, t, [1], count_type="exact")
+        assert [tuple(map(int, r)) for r in out.collect()] == want and dict(out.dtypes)["colorful"] == "decimal(38,0)"
+    small = C.colorful_count(graph(spark, K4), TreeTemplate.named("path4"), [1, 2], count_type="exact")
+    assert dict(small.dtypes)["colorful"] == "bigint" and sorted(small.collect()) == sorted(C.colorful_count(graph(spark, K4), TreeTemplate.named("path4"), [1, 2]).collect())
+
+
+def test_copies_count_as_joins_do(spark, monkeypatch):
+    pairs = [*K4, (4, 5), (5, 6), (2, 6), (6, 2**40), (2**40, 8), (3, 8)]
+    t, its = TreeTemplate.named("fork5"), list(range(1, 30))
+    want = sorted(map(tuple, C.colorful_count(graph(spark, pairs), t, its).collect()))
+    assert sorted(map(tuple, C.colorful_count(graph(spark, pairs), t, its, mode="replicated").collect())) == want
+    # as whole numbers where doubles would not be exact: a centre with three leaves among n of each colour
+    n = 300_000
+    g = EdgeGraph(edges_of(spark.range(1, n).select(F.lit(0).alias("a"), F.col("id").alias("b"))))
+    star = TreeTemplate.named("star4")
+    assert C.colorful_count(g, star, [1], mode="replicated").first() == C.colorful_count(g, star, [1]).first()
+    few = lambda m: C.estimate_tree_count(graph(spark, pairs), TreeTemplate.named("u3-1"), 1.0, 0.1, mode=m).first()
+    got = [few("auto"), few("bulk")]
+    monkeypatch.setattr(C, "COPY_EDGES", 5)
+    got.append(few("auto"))
+    assert list(got[0]) == pytest.approx(list(got[1])) and list(got[0]) == pytest.approx(list(got[2]))
