@@ -271,3 +271,10 @@ def test_copies_count_as_joins_do(spark, monkeypatch):
     monkeypatch.setattr(C, "COPY_EDGES", 5)
     got.append(few("auto"))
     assert list(got[0]) == pytest.approx(list(got[1])) and list(got[0]) == pytest.approx(list(got[2]))
+
+
+def test_stars_beyond_64_bits(spark):
+    n = 4_000_000
+    star = EdgeGraph(spark.range(1, n + 1).select(F.lit(0).cast("long").alias("src"), F.col("id").alias("dst")))
+    assert int(X.exact_star(star, 4).first()[0]) == math.comb(n, 3) > 2**63
+    assert dict(X.exact_star(graph(spark, K4), 4).dtypes) == {"exact": "bigint"} and X.exact_star(graph(spark, K4), 4).first()[0] == 4
