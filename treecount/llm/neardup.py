@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._graph import components
-from ._store import forget, small_batches, written
+from ._store import forget, scratch, small_batches, written
 
 WORDS = 5
 PERCENT = 85
@@ -268,6 +268,15 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of ``docs``."""
+    with scratch(docs.sparkSession) as keep:
+        member, label = map(keep, _classes(docs, words, percent, bands, rows))
+    out = member.join(label.select(F.col("id").alias("rep"), "component"), "rep", "left")
+    out = out.select("doc_id", "n_shingles", F.coalesce("component", "rep", "doc_id").alias("component_id"))
+    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+
+
+def _classes(docs: DataFrame, words: int, percent: int, bands: int, rows: int) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, n_shingles, rep) of every row and (id, component) of the representatives that are linked to others."""
     sk = written(sketches(docs, words, bands, rows, percent), "sketches")
     # equal sets: one class each, kept by its least document; written, so that the joins with large classes can be split
     same = written(sk.where("doc_id is not null and n_shingles > 0").groupBy("set_id").agg(F.min("doc_id").alias("rep")), "classes")
@@ -308,9 +317,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT,
             found = _blocks(r.join(main, "k", "left_anti").select("k", "id", "c"), sets, percent)
         links = links.union(written(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "links"))
         label = components(links)
-    out = member.join(label.select(F.col("id").alias("rep"), "component"), "rep", "left")
-    out = out.select("doc_id", "n_shingles", F.coalesce("component", "rep", "doc_id").alias("component_id"))
-    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    return member, label
 
 
 def op5_minhash_near_dedup(spark, sf_dir: str) -> DataFrame:
