@@ -278,3 +278,13 @@ def test_stars_beyond_64_bits(spark):
     star = EdgeGraph(spark.range(1, n + 1).select(F.lit(0).cast("long").alias("src"), F.col("id").alias("dst")))
     assert int(X.exact_star(star, 4).first()[0]) == math.comb(n, 3) > 2**63
     assert dict(X.exact_star(graph(spark, K4), 4).dtypes) == {"exact": "bigint"} and X.exact_star(graph(spark, K4), 4).first()[0] == 4
+
+
+def test_paths_of_five(spark, monkeypatch):
+    from treecount.operators import measure_queries
+
+    monkeypatch.setattr(X, "exact_by_joins", None)  # the query lists no paths
+    for pairs in (K4, [*K4, (4, 5), (5, 6), (2, 6), (6, 7), (7, 8), (3, 8), (3, 5)], list(itertools.combinations(range(7), 2)), [(1, 2)]):
+        monkeypatch.setattr(measure_queries.G, "graph", lambda *_, p=pairs: graph(spark, p))
+        row = measure_queries.QUERIES["exact_u5_2_knn"](spark, None)
+        assert row.first()[0] == brute(pairs, TreeTemplate.named("u5-2")) and dict(row.dtypes) == {"exact": "bigint"}
