@@ -288,3 +288,36 @@ def test_paths_of_five(spark, monkeypatch):
         monkeypatch.setattr(measure_queries.G, "graph", lambda *_, p=pairs: graph(spark, p))
         row = measure_queries.QUERIES["exact_u5_2_knn"](spark, None)
         assert row.first()[0] == brute(pairs, TreeTemplate.named("u5-2")) and dict(row.dtypes) == {"exact": "bigint"}
+
+
+def test_common_neighbours_in_tasks(spark, monkeypatch):
+    from treecount.operators import blocks
+
+    rng = np.random.default_rng(3)
+    # a random graph, two hubs and ids far apart
+    pairs = {(int(a), int(b)) for a, b in rng.integers(0, 60, (500, 2)) if a < b} | {(7, i) for i in range(100, 400)} | {(9, i) for i in range(100, 400, 2)} | {(3, 10**12), (5, 10**12), (-4, 3), (-4, 5)}
+    ids = sorted({x for p in pairs for x in p})
+    m = np.zeros((len(ids), len(ids)), np.int64)
+    for a, b in pairs:
+        if a != b:
+            m[ids.index(a), ids.index(b)] = m[ids.index(b), ids.index(a)] = 1
+    two, deg = m @ m, m.sum(1)
+    tri = int(np.trace(two @ m)) // 6
+    off = two - np.diag(np.diag(two))
+    four = int((off * (off - 1)).sum()) // 8
+    path = int((m * np.outer(deg - 1, deg - 1)).sum()) // 2 - 3 * tri
+    g = graph(spark, sorted(pairs))
+    for entries in (24_000_000, 900):
+        monkeypatch.setattr(blocks, "ENTRIES", entries)
+        assert X.triangles(g).first()[0] == tri and X.exact_path4(g).first()[0] == path and X.four_cycles(g).first()[0] == four
+    empty = EdgeGraph(g.edges.where("src = 0 and src = 1"))
+    assert X.triangles(empty).first()[0] == X.exact_path4(empty).first()[0] == X.four_cycles(empty).first()[0] == 0
+
+
+def test_wedges_are_not_listed(spark):
+    n = 500  # 3.1e10 paths of four in a complete graph, 6e7 pairs of neighbours
+    g = EdgeGraph(spark.range(n * n).select(F.expr(f"id div {n}").alias("src"), (F.col("id") % n).alias("dst")).where("src <> dst"))
+    assert X.exact_by_joins(g, TreeTemplate.named("path4")).first()[0] == n * (n - 1) * (n - 2) * (n - 3) // 2
+    assert X.triangles(g).first()[0] == math.comb(n, 3) and X.four_cycles(g).first()[0] == 3 * math.comb(n, 4)
+    for f in (X.triangles, X.four_cycles, X.exact_path4):
+        assert "Join" not in f(g)._jdf.queryExecution().toString()
