@@ -321,3 +321,13 @@ def test_wedges_are_not_listed(spark):
     assert X.triangles(g).first()[0] == math.comb(n, 3) and X.four_cycles(g).first()[0] == 3 * math.comb(n, 4)
     for f in (X.triangles, X.four_cycles, X.exact_path4):
         assert "Join" not in f(g)._jdf.queryExecution().toString()
+
+
+def test_existence_starts_with_one_colouring(spark, monkeypatch):
+    seen, real = [], C.assign_colors
+    monkeypatch.setattr(C, "assign_colors", lambda v, k, its, *a, **kw: seen.append(len(its)) or real(v, k, its, *a, **kw))
+    assert C.tree_exists(graph(spark, list(itertools.combinations(range(40), 2))), TreeTemplate.named("path4")) and seen[0] == 1
+    seen.clear()
+    # none in a star: as many colourings as the bound on a false no asks for
+    assert not C.tree_exists(graph(spark, [(0, 1), (0, 2), (0, 3)]), TreeTemplate.named("path4"), 0.5)
+    assert sum(seen) == math.ceil(math.log(2) * T.scale_up(4)) and max(seen) <= 8
