@@ -331,3 +331,22 @@ def test_existence_starts_with_one_colouring(spark, monkeypatch):
     # none in a star: as many colourings as the bound on a false no asks for
     assert not C.tree_exists(graph(spark, [(0, 1), (0, 2), (0, 3)]), TreeTemplate.named("path4"), 0.5)
     assert sum(seen) == math.ceil(math.log(2) * T.scale_up(4)) and max(seen) <= 8
+
+
+def test_two_hop_neighbours_are_counted_in_tasks(spark, monkeypatch):
+    from treecount.operators import blocks
+    from treecount.operators import neighborhood as N
+
+    rng = np.random.default_rng(5)
+    pairs = {(int(a), 1000 + int(b)) for a, b in rng.integers(0, 200, (400, 2))} | {(i, 5000) for i in range(150)} | {(7000, 7001)}
+    near = {}
+    for a, b in pairs:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    want = {a: len({z for m in near[a] for z in near[m]} - {a}) for a in near}
+    g = graph(spark, sorted(pairs))
+    for entries in (24_000_000, 500):
+        monkeypatch.setattr(blocks, "ENTRIES", entries)
+        assert {r[0]: r[1] for r in blocks.two_hop_counts(g.edges).collect()} == {a: n for a, n in want.items() if n}
+    row = N.two_hop_error(g).first()
+    assert row[0] == sum(n > 0 for n in want.values()) and row[1] <= 0.04
