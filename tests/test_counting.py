@@ -350,3 +350,35 @@ def test_two_hop_neighbours_are_counted_in_tasks(spark, monkeypatch):
         assert {r[0]: r[1] for r in blocks.two_hop_counts(g.edges).collect()} == {a: n for a, n in want.items() if n}
     row = N.two_hop_error(g).first()
     assert row[0] == sum(n > 0 for n in want.values()) and row[1] <= 0.04
+
+
+@pytest.mark.parametrize("name", ["u5-2", "u7-2", "fork5"])
+def test_residues_of_many_blocks_equal_rows_of_counts(spark, monkeypatch, name):
+    from treecount.operators import residues
+
+    monkeypatch.setattr(residues, "NUMBERS", 300)
+    monkeypatch.setattr(residues, "EDGES", 60)
+    seen = []
+    numbered = residues._numbered
+    monkeypatch.setattr(residues, "_numbered", lambda e, root, blocks: (seen.append(blocks), numbered(e, root, blocks)))
+    # ids below zero, a hub, and a vertex alone with one neighbour
+    pairs = [*K4, *C6, *((0, -i) for i in range(1, 30)), *((i, -(i % 29) - 1) for i in range(1, 40)), (100, 101)]
+    g, t = graph(spark, pairs), TreeTemplate.named(name)
+    want = {r["it"]: int(r["colorful"]) for r in C.colorful_count(g, t, [1, 2], count_type="long").collect()}
+    for mode in ("bulk", "adaptive_split"):
+        got = C.colorful_count(g, t, [1, 2], mode=mode, count_type="decimal")
+        assert got.schema["colorful"].dataType.simpleString() == "decimal(38,0)"
+        assert {r["it"]: int(r["colorful"]) for r in got.collect()} == want
+    assert min(seen) > 2 and max(want.values()) > 0
+
+
+def test_counts_beyond_two_primes_are_whole(spark):
+    """A star of seven with 20,000 leaves: a product of six colours' leaves beyond 64 bits, found without rows of counts."""
+    t = TreeTemplate.star(7)
+    g = EdgeGraph(edges_of(spark.range(1, 20_001).selectExpr("0 as a", "id as b")))
+    n = {r["mask"]: r["n"] for r in C.assign_colors(g.nodes().where("v > 0"), 7, [1]).groupBy("mask").agg(F.count("*").alias("n")).collect()}
+    own = C.assign_colors(g.nodes().where("v = 0"), 7, [1]).first()["mask"]
+    want = math.prod(x for m, x in n.items() if m != own)
+    with pytest.MonkeyPatch.context() as m:
+        m.setattr(C, "rooted_counts", lambda *a, **k: pytest.fail("rows of counts"))
+        assert int(C.colorful_count(g, t, [1], mode="adaptive_split", count_type="decimal").first()["colorful"]) == want > 1 << 63
