@@ -382,3 +382,26 @@ def test_counts_beyond_two_primes_are_whole(spark):
     with pytest.MonkeyPatch.context() as m:
         m.setattr(C, "rooted_counts", lambda *a, **k: pytest.fail("rows of counts"))
         assert int(C.colorful_count(g, t, [1], mode="adaptive_split", count_type="decimal").first()["colorful"]) == want > 1 << 63
+
+
+def test_edges_and_their_shuffle_files_go_before_lists_are_sent(spark, monkeypatch):
+    from treecount.operators import blocks
+
+    made, gone, order = [], [], []
+    for module in (blocks, X, E):
+        write, drop = module.written, module.forget
+        monkeypatch.setattr(module, "written", lambda d, n, w=write: (made.append((n, x := w(d, n))), x)[1])
+        if hasattr(module, "forget"):
+            monkeypatch.setattr(module, "forget", lambda d, f=drop: (gone.append(d._store_path), f(d))[1])
+    free, send = blocks.release, blocks.over_pairs
+    monkeypatch.setattr(blocks, "release", lambda s: (order.append("release"), free(s))[1])
+
+    def sent(*a):
+        order.append("sent")
+        assert all(x._store_path in gone for n, x in made if n in ("edges", "ranked"))
+        return send(*a)
+
+    monkeypatch.setattr(blocks, "over_pairs", sent)
+    g = lambda: graph(spark, K4)
+    assert [f(g()).first()[0] for f in (X.triangles, X.four_cycles, X.exact_path4)] == [4, 3, 12]
+    assert order == ["release", "release", "sent"] * 3 and {"edges", "ranked"} <= {n for n, _ in made}
