@@ -372,6 +372,36 @@ def test_residues_of_many_blocks_equal_rows_of_counts(spark, monkeypatch, name):
     assert min(seen) > 2 and max(want.values()) > 0
 
 
+@pytest.mark.parametrize("name", ["u14", "u15-2"])
+def test_widest_templates_need_no_rows_of_counts(spark, monkeypatch, name):
+    from treecount.operators import residues
+
+    pairs, t = [(i, (i + j) % 60) for i in range(60) for j in (1, 2, 5)] + [(0, i) for i in range(3, 50)], TreeTemplate.named(name)
+    g = graph(spark, sorted({(min(p), max(p)) for p in pairs}))
+    rows = C.colorful_count(g, t, [1], count_type="long").first()["colorful"]
+    monkeypatch.setattr(residues, "LONG", 1)
+    monkeypatch.setattr(C, "rooted_counts", lambda *a, **k: pytest.fail("rows of counts"))
+    got = C.colorful_count(g, t, [1], count_type="exact")
+    assert got.first()["colorful"] == rows > 0 and got.schema["colorful"].dataType.simpleString() == "bigint"
+
+
+def test_paths_of_five_list_no_pairs_of_neighbours(spark, monkeypatch):
+    from treecount.operators import blocks
+
+    rng = np.random.default_rng(3)
+    pairs = sorted({(min(p), max(p)) for p in rng.integers(0, 9, (22, 2)).tolist() if p[0] != p[1]})
+    t = TreeTemplate.named("u5-2")
+    want = brute(pairs, t)
+    for entries in (24_000_000, 12):
+        monkeypatch.setattr(blocks, "ENTRIES", entries)
+        g = graph(spark, pairs)
+        made, write = [], E.written
+        monkeypatch.setattr(X, "written", lambda d, n: (made.append(n), write(d, n))[1])
+        assert int(X.exact_path5(g).first()[0]) == want > 0
+        # edges by ascending degree were joined with themselves
+        assert "oriented" not in made
+
+
 def test_counts_beyond_two_primes_are_whole(spark):
     """A star of seven with 20,000 leaves: a product of six colours' leaves beyond 64 bits, found without rows of counts."""
     t = TreeTemplate.star(7)
